@@ -127,18 +127,21 @@ class Profiles:
         return self.names[best], min(1.0, max(0.0, 1.0 - float(away[best])) * 0.5 + min(0.5, 2.5 * lead))
 
 
+def language_of(profiles: dict[str, list[int]], size: int = PROFILE):
+    """A function of a text column that gives struct<lang_pred, score>; the row's other columns stay in the JVM."""
+
+    @F.arrow_udf("lang_pred string, score double")
+    def said(texts: pa.Array) -> pa.Array:
+        model = Profiles(profiles, size)
+        found = [model.predict(t.as_py()) for t in texts]
+        return pa.StructArray.from_arrays([pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64())], ["lang_pred", "score"])
+
+    return said
+
+
 def detect(docs: DataFrame, profiles: dict[str, list[int]], text: str = "text", key: str = "doc_id", size: int = PROFILE) -> DataFrame:
     """(key, lang_pred, score) of each row: the nearest language of the whole text; `und` with score 0 where it has no letter.
 
     The score grows with closeness and with the lead over the next language. Ties go to the first name in order.
     """
-    kind = docs.schema[key].dataType.simpleString()
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = Profiles(profiles, size)
-        for b in batches:
-            said = [model.predict(t.as_py()) for t in b.column(1)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([s[0] for s in said], pa.string()), pa.array([s[1] for s in said], pa.float64())], ["k", "lang_pred", "score"])
-
-    out = docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInArrow(run, f"k {kind}, lang_pred string, score double")
-    return out.select(F.col("k").alias(key), "lang_pred", "score")
+    return docs.select(F.col(key), language_of(profiles, size)(F.col(text)).alias("said")).select(key, "said.lang_pred", "said.score")

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, langid, secrets, sharding, token_counts
+from . import embeddings, exact_dedup, langid, near_dedup, packing, pieces, secrets, sharding, token_counts, toxicity
 
 
 def _vocabulary(name: str) -> str:
@@ -25,6 +25,14 @@ def _fold(n: int):
     return F.crc32(F.encode(F.col("doc_id").cast("string"), "utf-8")) % n
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _documents(spark, sf_dir, "doc_id", "text")
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "toxic")
+    lexicon = toxicity.learn(docs, labels.filter(_fold(5) != 0))
+    found = toxicity.score_texts(docs, lexicon)
+    return found.select("doc_id", (_fold(5) == 0).alias("held_out"), "score", "predicted", "n_passages", F.to_json("passages").alias("passages"))
+
+
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(_documents(spark, sf_dir, "doc_id", "text"), _vocabulary("word_bpe_49k.json"))
 
@@ -40,6 +48,26 @@ def op4_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(_documents(spark, sf_dir, "doc_id", "text"))
 
 
+def pack_documents(docs: DataFrame) -> DataFrame:
+    """docs packed with the byte-level vocabulary: sequences of 2048, each document ended by id 1."""
+    import public_tokenizers
+
+    special = {"<|endoftext|>": 50256}
+    return packing.pack(docs, _vocabulary("byte_bpe_50k.json"), _vocabulary("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, special)
+
+
+def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(_documents(spark, sf_dir, "doc_id", "text"))
+
+
+def op6_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_groups(_documents(spark, sf_dir, "doc_id", "text"), words=3, percent=85)
+
+
+def op7_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pieces.piece_digests(_documents(spark, sf_dir, "doc_id", "text"), _vocabulary("piece_bpe_32k.model"))
+
+
 def op8_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.digest_columns(secrets.scan_secrets(_documents(spark, sf_dir, "doc_id", "text", "source")))
 
@@ -48,8 +76,16 @@ def op9_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard(_documents(spark, sf_dir, "doc_id", "text"))
 
 
+def op10_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embeddings.near_vectors(spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_token_counts, op3_language_id, op4_exact_dedup, op8_secret_scans, op9_sharding)}
+    own = (
+        op1_toxicity, op2_token_counts, op3_language_id, op4_exact_dedup, op5_packing, op6_minhash_near_dedup,
+        op7_sentencepiece, op8_secret_scans, op9_sharding, op10_embedding_near_dedup,
+    )
+    return {f.__name__: f for f in own}
 
 
 _WHITE = "[\\x20\\x09-\\x0D]+"
