@@ -23,10 +23,11 @@ from pyspark.sql import functions as F
 
 from .wordhash import LETTERS, spans, text_chunks, word_hashes
 
-#: Labelled rows of each class to learn from, features of the lexicon, and how sure a feature's log-odds must be.
-SAMPLE, LEXICON, SURE = 4_000, 20_000, 4.5
+#: Labelled rows of each class to learn from, features of the lexicon, how sure a feature's log-odds must be, and how
+#: large: common words whose odds differ a little are neutral, or a text that repeats one would gather them.
+SAMPLE, LEXICON, SURE, LEAST_ODDS = 4_000, 20_000, 3.3, 3.5
 #: Bytes of the prefixes that unknown words back off to, weight of the prior in documents, and cost of a neutral word.
-PREFIXES, PRIOR, NEUTRAL = (4, 5), 20.0, 0.15
+PREFIXES, PRIOR, NEUTRAL = (4, 5), 4.0, 0.15
 _TABLE = 1 << 20
 
 
@@ -132,11 +133,11 @@ def learn(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
         if not n1 or not n0:
             return Lexicon(np.zeros(0, np.uint64), np.zeros(0), np.zeros(0))
         counts = drawn.mapInArrow(_features, "f bigint, y1 bigint, y0 bigint").groupBy("f").agg(F.sum("y1").alias("y1"), F.sum("y0").alias("y0"))
-        prior = PRIOR * (F.col("y1") + F.col("y0")) / F.lit(n1 + n0) + 0.01
-        side = lambda y, n: F.log((F.col(y) + prior) / (F.lit(n + PRIOR) - F.col(y) - prior + 0.02))
+        prior = PRIOR * (F.col("y1") + F.col("y0")) / F.lit(n1 + n0) + 0.5
+        side = lambda y, n: F.log((F.col(y) + prior) / (F.lit(n + PRIOR + 1) - F.col(y) - prior))
         odds = side("y1", n1) - side("y0", n0)
         sure = odds / F.sqrt(1 / (F.col("y1") + prior) + 1 / (F.col("y0") + prior))
-        top = counts.filter("y1 + y0 >= 5").select("f", odds.alias("odds"), sure.alias("sure")).filter(F.abs("sure") >= SURE)
+        top = counts.filter("y1 + y0 >= 5").select("f", odds.alias("odds"), sure.alias("sure")).filter((F.abs("sure") >= SURE) & (F.abs("odds") >= LEAST_ODDS))
         rows = top.orderBy(F.desc(F.abs("sure")), "f").limit(LEXICON).toPandas()
         rows = rows.assign(f=rows["f"].to_numpy(np.int64).view(np.uint64)).sort_values("f")
         lex = Lexicon(rows["f"].to_numpy(np.uint64), rows["odds"].to_numpy(float), np.abs(rows["sure"].to_numpy(float)))
