@@ -43,6 +43,7 @@ class ListAutomaton:
         edge, held = self.edges[i - 1], self.held[i - 1]
         if edge.high is not None:
             while held and t - held[0] > edge.high:
+                self.work.probes += 1
                 held.popleft()
         for before in reversed(held):
             self.work.probes += 1
@@ -98,8 +99,8 @@ class SlotAutomaton:
         for i in self.places.get(sym, ()):
             w.machine_steps += 1
             if i:
-                w.probes += 1
                 before = self.new[i - 1]
+                w.probes += before is not None
                 if self.safe and before == t:
                     before = self.old[i - 1]
                 high = self.edges[i - 1].high

@@ -7,11 +7,12 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from episodic.functions.automata import list_automaton
 from episodic.model import format_episode, parse_episode
 
-PARSED = "struct<nodes:array<string>,low:array<bigint>,high:array<bigint>>"
+PARSED = T.StructType([T.StructField("nodes", T.ArrayType(T.StringType())), T.StructField("low", T.ArrayType(T.LongType())), T.StructField("high", T.ArrayType(T.LongType()))])
 
 
 @F.pandas_udf(PARSED)
@@ -20,12 +21,12 @@ def parse_udf(texts: pd.Series) -> pd.DataFrame:
     return pd.DataFrame({"nodes": [list(e.nodes) for e in es], "low": [[x.low for x in e.edges] for e in es], "high": [[x.high for x in e.edges] for e in es]})
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def canonical_udf(texts: pd.Series) -> pd.Series:
     return texts.map(lambda t: format_episode(parse_episode(t)))
 
 
-@F.pandas_udf("bigint")
+@F.pandas_udf(T.LongType())
 def episode_count(sym: pd.Series, t: pd.Series, episode: pd.Series) -> int:
     """Grouped aggregate for small groups: the support of one episode in the group's events, ordered by time."""
     order = t.argsort(kind="stable")

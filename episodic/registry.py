@@ -459,7 +459,7 @@ def sql_udtf_mine(spark, d):
     surface.register(spark)
     S.event_types(spark, d, by_user=True).createOrReplaceTempView("episode_events")
     text = format_episode(USER_EPS[0])
-    return spark.sql(f"SELECT episode, sum(support) AS support FROM episode_occurrences(TABLE(episode_events) PARTITION BY stream_key ORDER BY t, eid, '{text}') GROUP BY episode")
+    return spark.sql(f"SELECT episode, sum(support) AS support FROM episode_occurrences(TABLE(episode_events) PARTITION BY stream_key ORDER BY (t, eid), '{text}') GROUP BY episode")
 
 
 @query(O.support_sql("types", FEW))

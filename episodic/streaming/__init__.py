@@ -44,8 +44,8 @@ def _advance(episodes: dict[int, Episode]):
                 rows.append((key[0], i, n, ready[-1][0]))
         state.update((json.dumps(waiting), json.dumps(held), json.dumps(counts)))
         if waiting:
-            last = max(t for t, _, _ in waiting)
-            state.setTimeoutTimestamp(max(last // 1000 + 1, state.getCurrentWatermarkMs() + 1))
+            first = min(t for t, _, _ in waiting)  # woken as soon as the watermark passes it, even without new events
+            state.setTimeoutTimestamp(max(first // 1000 + 1, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(rows, columns=["stream_key", "episode_id", "support", "upto"])
 
     return run

@@ -20,7 +20,7 @@ def test_sql_functions(spark):
     ev = spark.createDataFrame([("x", "A", 1, 1), ("x", "B", 3, 2), ("x", "A", 4, 3), ("x", "B", 6, 4)], S.EVENTS)
     ev.createOrReplaceTempView("ev_t")
     assert spark.sql("SELECT episode_count(sym, t, 'A-(0,5]->B') AS n FROM ev_t GROUP BY stream_key").first()["n"] == 2
-    row = spark.sql("SELECT * FROM episode_occurrences(TABLE(ev_t) PARTITION BY stream_key ORDER BY t, eid, 'A-(0,5]->B')").first()
+    row = spark.sql("SELECT * FROM episode_occurrences(TABLE(ev_t) PARTITION BY stream_key ORDER BY (t, eid), 'A-(0,5]->B')").first()
     assert (row["support"], row["ends"]) == (2, [3, 6])
 
 
