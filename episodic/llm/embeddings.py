@@ -22,9 +22,9 @@ from pyspark.sql import functions as F
 
 from .components import connected_components
 from .runtime import materialize
-from .tiles import in_tiles, over_runs
+from .tiles import in_tiles, over_runs, star_edges
 
-WINDOW, BLOCK, TILE = 256, 512, 1024
+WINDOW, BLOCK, TILE = 256, 512, 256
 #: Chance, for a pair exactly at the threshold, that no pass puts it in one window; and what partition ends may cost.
 MISS, ENDS = 1e-4, 0.75
 BITS = 62
@@ -90,23 +90,6 @@ def _matrix(vecs: pa.ChunkedArray | pa.Array) -> dict[int, tuple[np.ndarray, np.
     return out
 
 
-def _stars(ids: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For linked places (i, j): an edge from each place to the smallest id reachable through them."""
-    nodes, inv = np.unique(np.r_[i, j], return_inverse=True)
-    x, y = inv[: len(i)], inv[len(i) :]
-    root = ids[nodes]
-    while True:
-        low = np.minimum(root[x], root[y])
-        new = root.copy()
-        np.minimum.at(new, x, low)
-        np.minimum.at(new, y, low)
-        if (new == root).all():
-            break
-        root = new
-    far = root != ids[nodes]
-    return ids[nodes][far], root[far]
-
-
 def _windows(threshold: float, window: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tail: dict[tuple[int, int], tuple[np.ndarray, np.ndarray]] = {}
@@ -131,7 +114,7 @@ def _windows(threshold: float, window: int):
                         i, j = i + s, j + lo
                         ok = (j < i) & (i - j <= window)
                         if ok.any():
-                            u, v = _stars(ids, i[ok], j[ok])
+                            u, v = star_edges(ids, i[ok], j[ok])
                             left.append(u)
                             right.append(v)
                     tail[dim] = (ids[-window:], x[-window:])

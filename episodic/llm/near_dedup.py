@@ -6,14 +6,15 @@ are bucket keys. Documents with one and the same set are first one class, repres
 
 A bucket of m classes gives at most 2(m-1) candidate edges: a star to its smallest id and one to a member drawn by
 hash. Every candidate is confirmed on the full sets. Stars can miss a link between two members that neither centre is
-linked with, so buckets whose members are still in different components are compared in bounded tiles by their slot
-values; what may reach the threshold is confirmed on full sets as well. Bands are chosen so that a pair right at the
+linked with, so buckets whose members are still in different components are compared in bounded tiles: first by slot
+values, which leave the members that may have a link, then those by their full sets. Tiles give stars, never all pairs. Bands are chosen so that a pair right at the
 threshold shares no bucket with a chance under 1e-8.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -23,13 +24,15 @@ from pyspark.sql import functions as F
 
 from .components import connected_components
 from .runtime import materialize
-from .tiles import in_tiles, over_runs
+from .tiles import in_tiles, over_runs, star_edges
 from .wordhash import NOT_WHITE, mix, spans, text_chunks, word_hashes
 
 SLOTS = 160
-#: Equal slots, of all, below which two documents can't be similar; over six standard deviations under 0.8.
-AGREE_LEAST = 0.6
-TILE = 256
+#: Standard deviations that the share of equal slots of a pair at the threshold may fall short of it (one in 10 ** 9).
+SHORT = 6.0
+TILE = 512
+#: Ids of candidates that may be broadcast (8 bytes each).
+BROADCAST_IDS = 2_000_000
 _PROBES = 2048
 _SALTS = mix(np.arange(1, 65, dtype=np.uint64))
 
@@ -42,6 +45,12 @@ def band_rows(percent: int) -> int:
     raise ValueError(f"a similarity of {percent} % is too low for {SLOTS} slots")
 
 
+def least_agreement(percent: int) -> int:
+    """Equal slots below which two documents are taken as not similar without a look at their full sets."""
+    p = percent / 100
+    return math.floor(SLOTS * p - SHORT * math.sqrt(SLOTS * p * (1 - p)))
+
+
 def _probe_table() -> np.ndarray:
     draws = mix(np.arange(SLOTS * _PROBES, dtype=np.uint64) + np.uint64(0xA5A5))
     return ((draws >> np.uint64(32)) * np.uint64(SLOTS) >> np.uint64(32)).astype(np.int64).reshape(_PROBES, SLOTS)
@@ -91,10 +100,9 @@ def _sketches(k: int, rows: int):
         number = np.arange(bands, dtype=np.uint64)
         fold = _SALTS[:rows]
         for b in batches:
-            n, prints, keys, slots, sets = [], [], [], [], []
+            n, prints, keys, slots = [], [], [], []
             for s in shingle_sets(b.column(1), k):
                 n.append(len(s))
-                sets.append(s)
                 if len(s):
                     v = slot_values(s, probes)
                     prints.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
@@ -104,17 +112,35 @@ def _sketches(k: int, rows: int):
                     prints.append(None)
                     keys.append(np.zeros(0, np.int64))
                     slots.append(None)
-            lists = lambda xs: pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum([len(x) for x in xs])].astype(np.int32)), pa.array(np.concatenate(xs) if xs else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array(n, pa.int64()), pa.array(prints, pa.binary()), lists(keys), pa.array(slots, pa.binary()), lists([s.view(np.int64) for s in sets])],
-                ["id", "n", "print", "bands", "slots", "shingles"],
-            )
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(prints, pa.binary()), _lists(keys), pa.array(slots, pa.binary())], ["id", "n", "print", "bands", "slots"])
+
+    return run
+
+
+def _lists(xs: list[np.ndarray]) -> pa.ListArray:
+    return pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum([len(x) for x in xs])].astype(np.int32)), pa.array(np.concatenate([*xs, np.zeros(0, np.int64)])))
+
+
+def _sets(k: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), _lists([s.view(np.int64) for s in shingle_sets(b.column(1), k)])], ["id", "shingles"])
 
     return run
 
 
-def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def _full_sets(ids: DataFrame, texts: DataFrame, words: int) -> DataFrame:
+    """(id, shingles) of the documents in ids (column c): full sets are several times as large as the texts, so they are
+    made for candidates only. The list of ids is broadcast while it has BROADCAST_IDS entries at most, else joined by shuffle."""
+    ids = materialize(ids.distinct(), "candidates")
+    few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+    own = texts.join(F.broadcast(ids) if few else ids, texts["id"] == ids["c"], "left_semi")
+    return materialize(own.mapInArrow(_sets(words), "id bigint, shingles array<bigint>"), "shingle-sets")
+
+
+def _confirmed(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose full sets are similar enough, in exact integer arithmetic."""
+    sets = _full_sets(pairs.select(F.explode(F.array("a", "b")).alias("c")), texts, words)
     left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa"))
     right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb"))
     both = F.size(F.array_intersect("sa", "sb"))
@@ -122,28 +148,70 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return met.filter(F.col("both") * 100 >= (F.size("sa") + F.size("sb") - F.col("both")) * percent).select("a", "b")
 
 
-def _alike(percent: int):
+def _plausible(rows: int, percent: int):
+    """The members of a run with a partner in another component that may reach the threshold; a row a member at most.
+
+    A pair is looked at in the first band only that its slots share, so in one of its buckets.
+    """
+    bands, least = SLOTS // rows, least_agreement(percent)
+
     def kernel(t: pa.Table) -> pa.Table | None:
         comp = t.column("component").to_numpy()
         if (comp == comp[0]).all():
             return None
-        ids, n, own = t.column("id").to_numpy(), t.column("n").to_numpy(), t.column("own").to_numpy()
-        slots = np.frombuffer(b"".join(t.column("slots").to_pylist()), np.uint32).reshape(len(ids), SLOTS)
+        n, own, band = t.column("n").to_numpy(), t.column("own").to_numpy(), t.column("band")[0].as_py()
+        slots = np.frombuffer(b"".join(t.column("slots").to_pylist()), np.uint32).reshape(len(n), SLOTS)
         i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
-        rows = np.flatnonzero(own == i)
-        cols = rows if i == j else np.flatnonzero(own == j)
-        left, right = [], []
-        for r in rows:
+        left = np.flatnonzero(own == i)
+        cols = left if i == j else np.flatnonzero(own == j)
+        keep = np.zeros(len(n), bool)
+        for r in left:
             c = cols[cols > r] if i == j else cols
             c = c[(comp[c] != comp[r]) & (100 * np.minimum(n[c], n[r]) >= percent * np.maximum(n[c], n[r]))]
             if len(c):
-                c = c[(slots[c] == slots[r]).sum(1) >= AGREE_LEAST * SLOTS]
-                left.append(np.full(len(c), ids[r]))
-                right.append(ids[c])
-        if not left:
+                same = slots[c] == slots[r]
+                first = same[:, : bands * rows].reshape(len(c), bands, rows).all(2).argmax(1)
+                c = c[(same.sum(1) >= least) & (first == band)]
+                if len(c):
+                    keep[r] = True
+                    keep[c] = True
+        return t.select(["bucket", "i", "j", "own", "id", "component"]).filter(pa.array(keep)) if keep.any() else None
+
+    return kernel
+
+
+def _linked(percent: int, columns: int = 1 << 14):
+    """Edges of a run whose full sets are similar enough: exact intersections by blocks of shingles, given as stars."""
+
+    def kernel(t: pa.Table) -> pa.Table | None:
+        ids, comp, own = t.column("id").to_numpy(), t.column("component").to_numpy(), t.column("own").to_numpy()
+        sets = [np.asarray(x.values) for x in t.column("shingles")]
+        size = np.array([len(x) for x in sets])
+        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+        left = np.flatnonzero(own == i)
+        cols = left if i == j else np.flatnonzero(own == j)
+        if not len(left) or not len(cols):
+            return None
+        every, at = np.unique(np.concatenate(sets), return_inverse=True)
+        row = np.repeat(np.arange(len(ids)), size)
+        common = np.bincount(at, minlength=len(every)) > 1
+        place = np.cumsum(common) - 1
+        row, at = row[common[at]], place[at[common[at]]]
+        order = np.argsort(at, kind="stable")
+        row, at = row[order], at[order]
+        both = np.zeros((len(left), len(cols)), np.float32)
+        for lo in range(0, int(common.sum()), columns):
+            s, e = np.searchsorted(at, [lo, lo + columns])
+            x = np.zeros((len(ids), columns), np.float32)
+            x[row[s:e], at[s:e] - lo] = 1
+            both += x[left] @ x[cols].T
+        n = both.astype(np.int64)
+        ok = (n * 100 >= (size[left][:, None] + size[cols][None, :] - n) * percent) & (comp[left][:, None] != comp[cols][None, :])
+        x, y = np.nonzero(ok)
+        if not len(x):
             return None
-        x, y = np.concatenate(left), np.concatenate(right)
-        return pa.table({"a": pa.array(np.minimum(x, y), pa.int64()), "b": pa.array(np.maximum(x, y), pa.int64())})
+        u, v = star_edges(ids, left[x], cols[y])
+        return pa.table({"a": pa.array(v, pa.int64()), "b": pa.array(u, pa.int64())})
 
     return kernel
 
@@ -157,11 +225,11 @@ def near_groups(docs: DataFrame, words: int = 3, percent: int = 85, key: str = "
     """
     rows = band_rows(percent)
     slim = docs.select(F.col(key).cast("bigint").alias("id"), F.col(text).alias("t"))
-    sketched = materialize(slim.mapInArrow(_sketches(words, rows), "id bigint, n bigint, print binary, bands array<bigint>, slots binary, shingles array<bigint>"), "sketches")
+    sketched = materialize(slim.mapInArrow(_sketches(words, rows), "id bigint, n bigint, print binary, bands array<bigint>, slots binary"), "sketches")
     valid = sketched.filter("n > 0 AND id IS NOT NULL")
     classes = materialize(valid.groupBy("print").agg(F.min("id").alias("rep")), "set-classes")
     reps = valid.select("id", "n", "print", "bands").join(classes.select("print", F.col("rep").alias("id")), ["print", "id"], "left_semi")
-    buckets = materialize(reps.select("id", "n", F.explode("bands").alias("bucket")).distinct(), "buckets")
+    buckets = materialize(reps.select("id", "n", F.posexplode("bands").alias("band", "bucket")), "buckets")
     node = F.struct("id", "n")
     drawn = F.struct(F.xxhash64("id", "bucket").alias("h"), "id", "n")
     centres = buckets.groupBy("bucket").agg(F.count("*").alias("members"), F.min(node).alias("c1"), F.min(drawn).alias("c2")).filter("members > 1")
@@ -170,18 +238,20 @@ def near_groups(docs: DataFrame, words: int = 3, percent: int = 85, key: str = "
     sized = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent
     pairs = star.filter((F.col("id") != F.col("c.id")) & sized(F.col("n"), F.col("c.n"))).select(F.least("id", "c.id").alias("a"), F.greatest("id", "c.id").alias("b"))
     pairs = materialize(pairs.distinct(), "star-pairs")
-    sets = valid.select("id", "shingles")
-    links = materialize(_confirmed(pairs, sets, percent), "links")
+    links = materialize(_confirmed(pairs, slim, words, percent), "links")
     first = materialize(connected_components(links), "components")
 
     # buckets that the stars leave in several components: every pair of two or three members was in a star already
     open_ = centres.filter((F.col("members") > 3) | ((F.col("members") == 3) & (F.col("c1.id") == F.col("c2.id")))).select("bucket")
-    placed = buckets.join(open_, "bucket").join(first, F.col("id") == F.col("node"), "left").select("bucket", "id", "n", F.coalesce("component", "id").alias("component"))
+    placed = buckets.join(open_, "bucket").join(first, F.col("id") == F.col("node"), "left").select("bucket", "band", "id", "n", F.coalesce("component", "id").alias("component"))
     placed = materialize(placed, "open-members")
     mixed = materialize(placed.groupBy("bucket").agg(F.count("*").alias("members"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("bucket", "members"), "open-buckets")
     rest = placed.join(mixed, "bucket").join(valid.select("id", "slots").dropDuplicates(["id"]), "id")
-    alike = over_runs(in_tiles(rest, "bucket", "members", "id", TILE), ["bucket", "i", "j"], _alike(percent), "a bigint, b bigint").distinct()
-    more = materialize(_confirmed(alike.join(pairs, ["a", "b"], "left_anti"), sets, percent), "links")
+    tiled = over_runs(in_tiles(rest, "bucket", "members", "id", TILE), ["bucket", "i", "j"], _plausible(rows, percent), "bucket bigint, i int, j int, own int, id bigint, component bigint")
+    tiled = materialize(tiled, "plausible")
+    full = tiled.join(_full_sets(tiled.select(F.col("id").alias("c")), slim, words).dropDuplicates(["id"]), "id")
+    full = full.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j", "own", "id")
+    more = materialize(over_runs(full, ["bucket", "i", "j"], _linked(percent), "a bigint, b bigint"), "links")
     final = materialize(connected_components(links.unionByName(more)), "components")
 
     named = valid.select("id", "print").join(classes, "print").select("id", "rep").distinct()

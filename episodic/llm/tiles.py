@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -60,3 +61,20 @@ def over_runs(tiled: DataFrame, key: list[str], kernel: Callable[[pa.Table], pa.
             yield from pa.concat_tables(held).combine_chunks().to_batches()
 
     return tiled.mapInArrow(run, schema)
+
+
+def star_edges(ids: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For linked places (i, j): an edge from each place to the smallest id reachable through them."""
+    nodes, inv = np.unique(np.r_[i, j], return_inverse=True)
+    x, y = inv[: len(i)], inv[len(i) :]
+    root = ids[nodes]
+    while True:
+        low = np.minimum(root[x], root[y])
+        new = root.copy()
+        np.minimum.at(new, x, low)
+        np.minimum.at(new, y, low)
+        if (new == root).all():
+            break
+        root = new
+    far = root != ids[nodes]
+    return ids[nodes][far], root[far]
