@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 BLANK = "▁"
-CACHE_WORDS, CACHE_LETTERS = 500_000, 48
+CACHE_WORDS, CACHE_LETTERS = 600_000, 48
 _UNKNOWN_COST = 10.0
 
 
@@ -52,7 +52,8 @@ class PieceModel:
             raise ValueError("models with pieces defined by users are not supported")
         self.unknown = next(i for i, p in enumerate(m.pieces) if p.type == kind.UNKNOWN)
         self.bytes = {int(p.piece[3:5], 16): i for i, p in enumerate(m.pieces) if p.type == kind.BYTE}
-        self.longest = max(map(len, self.ids), default=1)
+        # every end of a piece: looking back from a letter stops where no piece can end
+        self.ends = {p[i:] for p in self.ids for i in range(len(p))}
         self.worst = min((self.score[i] for i in self.ids.values()), default=0.0) - _UNKNOWN_COST
         # blanks only lead pieces and no piece has a line end: then words can be encoded one by one
         self.parts = all(BLANK not in p.lstrip(BLANK) and "\n" not in p for p in self.ids)
@@ -100,22 +101,25 @@ class PieceModel:
 
     def _extend(self, word: str, last: list[int], best: list[float]) -> None:
         """Fill the forward table from where it stands to the end of the word; last: id of the piece or -1 for unknown."""
-        ids, get = self.ids, self.ids.get
+        get, ends, apart = self.ids.get, self.ends, self.apart.get
         for e in range(len(last), len(word) + 1):
+            s, found = e - 1, []
+            while s >= 0 and (tail := word[s:e]) in ends:
+                if (p := get(tail)) is not None:
+                    found.append((s, p))
+                s -= 1
+            piece = -1
             if self.unigram:
-                top, piece = best[e - 1] + self.worst, -1
-                for s in range(max(0, e - self.longest), e):
-                    p = get(word[s:e])
-                    if p is not None and best[s] + self.score[p] > top:
-                        top, piece = best[s] + self.score[p], p
-                last.append(piece)
+                top = best[e - 1] + self.worst
+                for s, p in found:
+                    if (sum_ := best[s] + self.score[p]) > top:
+                        top, piece = sum_, p
                 best.append(top)
-                continue
-            piece = -1
-            if word[e - 1] in ids or self.longest > 1:
-                for s in range(max(0, e - self.longest), e):
-                    p = get(word[s:e])
-                    if p is not None and self.stay_apart(last[s] if s else -1, p):
+            else:
+                for s, p in reversed(found):
+                    before = last[s] if s else -1
+                    ok = apart((before, p))
+                    if self.stay_apart(before, p) if ok is None else ok:
                         piece = p
                         break
             last.append(piece)
@@ -237,8 +241,8 @@ def piece_digests(docs: DataFrame, model: str, key: str = "doc_id", text: str =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = _model(model)
         for b in batches:
-            for s in range(0, b.num_rows, 256):
-                part = b.slice(s, 256)
+            for s in range(0, b.num_rows, 1024):
+                part = b.slice(s, 1024)
                 texts = [t or "" for t in part.column(1).to_pylist()]
                 ids = m.encode(texts)
                 back = [m.decode(i) == t.replace(BLANK, " ") for i, t in zip(ids, texts, strict=True)]
