@@ -2,8 +2,8 @@
 
 The normalised text is cut into fixed-size blocks. The distinct blocks of the corpus, sorted, get integer names; then
 adjacent pairs of names are named in the same way, level by level, until each document is one name. Equal documents
-have equal names and different documents different ones, with no chance of a collision: blocks are compared as whole
-strings, pairs as pairs of integers.
+have equal names and different documents different ones, with no chance of a collision: blocks are compared byte by
+byte, pairs as pairs of integers.
 
 Names come from distinct values only (hash aggregates that combine before the shuffle), and join back to occurrences
 by a fixed-size key, so a block that a third of all rows hold is one row a task on its way to a name, and the join is
@@ -12,30 +12,68 @@ one that adaptive execution can split. Each level halves the rows; documents of
 
 from __future__ import annotations
 
+import hashlib
+import re
+from collections.abc import Iterator
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .runtime import materialize
 
-#: Characters of a block. Most documents are one or two blocks; a row never holds more than this of a text.
-BLOCK_CHARS = 4096
-WHITE_RUN = r"[\x20\x09-\x0D]+"
-
-
-def normalised(text: str = "text"):
-    """The text with each run of ASCII white space as one space; null is empty."""
-    return F.regexp_replace(F.coalesce(F.col(text), F.lit("")), WHITE_RUN, " ")
-
-
-def _blocks(docs: DataFrame, key: str, text: str, block_chars: int) -> DataFrame:
-    """(k, sha, n, pos, digest, block) of each block of each document."""
-    norm = docs.select(F.col(key).alias("k"), normalised(text).alias("norm"))
-    cut = F.when(F.length("norm") <= block_chars, F.array("norm")).otherwise(F.regexp_extract_all("norm", F.lit("(?s).{1,%d}" % block_chars), F.lit(0)))
-    whole = norm.select("k", F.unhex(F.sha2(F.encode("norm", "utf-8"), 256)).alias("sha"), cut.alias("parts"))
-    each = whole.select("k", "sha", F.size("parts").alias("n"), F.posexplode("parts").alias("pos", "block"))
-    return each.withColumn("digest", F.unhex(F.md5(F.encode("block", "utf-8"))))
+#: Bytes of a block. Most documents are one block; a row never holds more than this of a text.
+BLOCK_BYTES = 8192
+_AS_SPACE = bytes.maketrans(b"\t\n\v\f\r", b"     ")
+_RUN = re.compile(b" {2,}")
+
+
+def normalised(text: bytes) -> bytes:
+    """The UTF-8 text with each run of ASCII white space as one space."""
+    text = text.translate(_AS_SPACE)
+    return _RUN.sub(b" ", text) if b"  " in text else text
+
+
+def _bytes_of(texts: pa.Array) -> Iterator[bytes]:
+    """UTF-8 of each text, straight from the Arrow buffer; null is empty."""
+    texts = texts.cast(pa.large_string()).fill_null("")
+    _, off, data = texts.buffers()
+    at = np.frombuffer(off, np.int64)[texts.offset : texts.offset + len(texts) + 1].tolist() if len(texts) else [0]
+    view = memoryview(data) if data is not None else memoryview(b"")
+    for a, z in zip(at[:-1], at[1:], strict=True):
+        yield bytes(view[a:z])
+
+
+def _blocks(docs: DataFrame, key: str, text: str, size: int, whole: bool) -> DataFrame:
+    """(k, sha, n, pos, digest) of each block of each document, and with `whole` its bytes as `block`."""
+    kind = docs.schema[key].dataType.simpleString()
+    names = ["k", "sha", "n", "pos", "digest", *(["block"] if whole else [])]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for s in range(0, b.num_rows, 1024):
+                part = b.slice(s, 1024)
+                row, shas, ns, places, digests, blocks = [], [], [], [], [], []
+                for r, raw in enumerate(_bytes_of(part.column(1))):
+                    norm = normalised(raw)
+                    sha = hashlib.sha256(norm).digest()
+                    cut = [norm] if len(norm) <= size else [norm[i : i + size] for i in range(0, len(norm), size)]
+                    for i, x in enumerate(cut):
+                        row.append(r)
+                        shas.append(sha)
+                        ns.append(len(cut))
+                        places.append(i)
+                        digests.append(sha if len(cut) == 1 else hashlib.sha256(x).digest())
+                    if whole:
+                        blocks += cut
+                cols = [part.column(0).take(pa.array(row, pa.int64())), pa.array(shas, pa.binary()), pa.array(ns, pa.int32()), pa.array(places, pa.int32()), pa.array(digests, pa.binary())]
+                yield pa.RecordBatch.from_arrays(cols + ([pa.array(blocks, pa.binary())] if whole else []), names)
+
+    schema = f"k {kind}, sha binary, n int, pos int, digest binary" + (", block binary" if whole else "")
+    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInArrow(run, schema)
 
 
 def _named(distinct: DataFrame, *by: str) -> DataFrame:
@@ -43,21 +81,20 @@ def _named(distinct: DataFrame, *by: str) -> DataFrame:
     return distinct.sortWithinPartitions(*by).withColumn("name", F.monotonically_increasing_id() + 1)
 
 
-def _name_blocks(blocks: DataFrame) -> DataFrame:
-    """(k, sha, n, pos, name). Blocks are told apart as strings: the digest only carries the join, and is checked."""
-    strings = blocks.groupBy("digest", "block").agg(F.lit(1).alias("one"))
+def _name_blocks(docs: DataFrame, key: str, text: str, size: int) -> DataFrame:
+    """(k, sha, n, pos, name). Blocks are told apart byte by byte: the digest only carries the join, and is checked."""
+    strings = _blocks(docs, key, text, size, True).groupBy("digest", "block").agg(F.lit(1).alias("one"))
     names = materialize(_named(strings.groupBy("digest").agg(F.count("*").alias("variants")), "digest"), "block-names")
-    slim = blocks.select("k", "sha", "n", "pos", "digest")
     if names.filter("variants > 1").isEmpty():
-        return slim.join(names.select("digest", "name"), "digest").drop("digest")
-    full = materialize(_named(strings.drop("one"), "digest", "block"), "block-names")  # one digest for two blocks: compare the strings
-    return blocks.join(full, ["digest", "block"]).drop("digest", "block")
+        return _blocks(docs, key, text, size, False).join(names.select("digest", "name"), "digest").drop("digest")
+    full = materialize(_named(strings.drop("one"), "digest", "block"), "block-names")  # one digest for two blocks: compare the bytes
+    return _blocks(docs, key, text, size, True).join(full, ["digest", "block"]).drop("digest", "block")
 
 
-def identities(docs: DataFrame, key: str = "doc_id", text: str = "text", block_chars: int = BLOCK_CHARS) -> DataFrame:
+def identities(docs: DataFrame, key: str = "doc_id", text: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """(k, sha, level, name) of each distinct (key, normalised text): equal texts have equal (level, name), others not."""
     level, done = 0, []
-    current = materialize(_name_blocks(_blocks(docs, key, text, block_chars)), "names")
+    current = materialize(_name_blocks(docs, key, text, block_bytes), "names")
     while True:
         done.append(current.filter("n = 1").select("k", "sha", F.lit(level).alias("level"), "name"))
         rest = current.filter("n > 1")
@@ -68,19 +105,20 @@ def identities(docs: DataFrame, key: str = "doc_id", text: str = "text", block_c
         left, right = (F.max(F.when(F.col("pos") % 2 == i, F.col("name"))) for i in (0, 1))
         pairs = rest.groupBy("k", "sha", "n", half.alias("pos")).agg(left.alias("l"), F.coalesce(right, F.lit(0)).alias("r"))
         pairs = materialize(pairs.withColumn("n", F.shiftright(F.col("n") + 1, 1)), "pairs")
-        names = _named(pairs.groupBy("l", "r").agg(F.lit(1).alias("one")), "l", "r").drop("one")
+        names = materialize(_named(pairs.groupBy("l", "r").agg(F.lit(1).alias("one")), "l", "r").drop("one"), "pair-names")
         current = materialize(pairs.join(names, ["l", "r"]).drop("l", "r"), "names")
     return reduce(DataFrame.unionByName, done).groupBy("k", "sha", "level", "name").agg(F.lit(1).alias("one")).drop("one")
 
 
-def exact_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", block_chars: int = BLOCK_CHARS) -> DataFrame:
+def exact_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """(key, keep_id, group_size, kept, text_sha256), one row for each document, dropped ones too.
 
     Null text is empty. Of equal texts the smallest key stays; null keys come after all others and stay only among
     themselves. Rows that repeat key and normalised text are one document. An empty table gives an empty result.
     """
-    names = materialize(identities(docs, key, text, block_chars), "identities")
-    groups = names.groupBy("level", "name").agg(F.min("k").alias("keep_id"), F.count("*").alias("group_size"))
+    names = materialize(identities(docs, key, text, block_bytes), "identities")
+    # written before the join, whose sides are then both plain shuffles that adaptive execution can split where a group is hot
+    groups = materialize(names.groupBy("level", "name").agg(F.min("k").alias("keep_id"), F.count("*").alias("group_size")), "groups")
     return names.join(groups, ["level", "name"]).select(
         F.col("k").alias(key), "keep_id", "group_size", F.col("k").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("sha")).alias("text_sha256")
     )
@@ -89,7 +127,12 @@ def exact_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", block
 def drop_exact_copies(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The rows of docs that stay, with their own columns; of rows that repeat key and text one stays."""
     stay = exact_groups(docs, key, text).filter("kept").select(F.col(key).alias("__k"), F.unhex("text_sha256").alias("__s"))
-    marked = docs.withColumn("__sha", F.unhex(F.sha2(F.encode(normalised(text), "utf-8"), 256)))
+    
+    @F.arrow_udf(T.BinaryType())
+    def sha_of(texts: pa.Array) -> pa.Array:
+        return pa.array([hashlib.sha256(normalised(t)).digest() for t in _bytes_of(texts)], pa.binary())
+
+    marked = docs.withColumn("__sha", sha_of(F.col(text)))
     left = marked.join(stay, marked[key].eqNullSafe(stay["__k"]) & (marked["__sha"] == stay["__s"]), "left_semi")
     once = F.row_number().over(_one(key))
     return left.withColumn("__n", once).filter("__n = 1").drop("__n", "__sha")
