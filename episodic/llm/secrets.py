@@ -80,7 +80,7 @@ def ownership(found: DataFrame) -> DataFrame:
 def scan_secrets(docs: DataFrame, key: str = "doc_id", text: str = "text", owner: str = "source", common_owners: int = COMMON_OWNERS, common_docs: int = COMMON_DOCS) -> DataFrame:
     """One row for each row of docs: key, base_sha256, spans_list (start, end, kind, n_docs, n_owners, live) sorted by start and kind."""
     found = materialize(candidates(docs, key, text, owner), "secret-candidates")
-    held = ownership(found)
+    held = materialize(ownership(found), "ownership")
     each = found.filter(F.size("found") > 0).select("k", "base_sha256", F.explode("found").alias("c")).distinct()
     judged = each.join(held, each["c.value"] == held["value"]).select(
         "k", "base_sha256", "c", "n_docs", "n_owners", ((F.col("n_owners") <= common_owners) & (F.col("n_docs") <= common_docs)).alias("live")
