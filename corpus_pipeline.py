@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from episodic.llm import exact_dedup, langid, near_dedup, secrets
 from episodic.llm.queries import pack_documents
 from episodic.llm.runtime import materialize
+from episodic.shipping import ship
 
 #: A document below this score is nearer to no language than random letters are.
 LEAST_SCORE = 0.1
@@ -21,6 +22,7 @@ LEAST_SCORE = 0.1
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with a language; null and empty texts and those without a letter go. Repeated rows are judged alike."""
+    ship(spark)
     profiles = langid.learn_profiles(docs)
     said = docs.withColumn("__said", langid.language_of(profiles)(F.col("text")))
     return said.filter((F.col("__said.lang_pred") != "und") & (F.col("__said.score") >= LEAST_SCORE)).drop("__said")
@@ -28,16 +30,19 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of texts equal up to white space the document with the smallest id."""
+    ship(spark)
     return exact_dedup.drop_exact_copies(docs)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents that links of similarity 0.8 or more join the one with the smallest id."""
+    ship(spark)
     return near_dedup.drop_near_copies(docs)
 
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every document, with owner-specific secrets masked and n_chars brought up to date where text changed."""
+    ship(spark)
     masked = secrets.redact_live(docs)
     if "n_chars" in docs.columns:
         masked = masked.withColumn("n_chars", F.when(F.col("n_chars").isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)))
@@ -46,6 +51,7 @@ def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """A row for each piece of each document, as operator 5 gives them."""
+    ship(spark)
     return pack_documents(docs)
 
 
