@@ -45,7 +45,7 @@ def as_events(df: DataFrame, sym: Column | str, t: Column | str, eid: Column | s
 
 def read_events(spark: SparkSession, path: str, format: str = "parquet", schema: T.StructType = EVENTS, **options: str) -> DataFrame:
     """Recordings in any of Spark's formats; the schema is given, never inferred."""
-    return spark.read.format(format).schema(schema).options(**options).load(path)
+    return spark.read.format(format).schema(schema).options(**options).load(path).select(*schema.fieldNames())
 
 
 def write_events(ev: DataFrame, path: str, width: int, mode: str = "errorifexists") -> None:
