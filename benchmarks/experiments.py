@@ -24,9 +24,10 @@ from episodic.plans.evolve import mine_partitions
 from episodic.plans.mine import mine
 
 
-def scaled(ev: DataFrame) -> list[Interval]:
+def scaled(ev: DataFrame, stretch: int = 1) -> list[Interval]:
+    """G3, or with stretch the same in longer units: then many stored times lie within an interval."""
     lo, hi, n = ev.agg(F.min("t"), F.max("t"), F.count("*")).first()
-    g = (hi - lo) // max(1, n - 1)
+    g = stretch * (hi - lo) // max(1, n - 1)
     return [Interval(0, 5 * g), Interval(5 * g, 10 * g), Interval(10 * g, 20 * g)]
 
 
@@ -73,10 +74,10 @@ def crossover(spark: SparkSession, sf: str, nodes: int, counts=(1, 4, 16, 64, 25
     return rows, tie
 
 
-def passes(spark: SparkSession, sf: str, sliced: int, thetas: tuple[int, ...], symbols: int = 60, max_nodes: int = 3, kernel: str = "latest", counting: str = "segment") -> list[tuple]:
+def passes(spark: SparkSession, sf: str, sliced: int, thetas: tuple[int, ...], symbols: int = 60, max_nodes: int = 3, stretch: int = 1, kernel: str = "list", counting: str = "episode") -> list[tuple]:
     """(theta, one-pass seconds, two-pass seconds, speedup, [(size, candidates, removed)]) on one ten-day recording."""
     ev = S.day_slices(spark, sf, symbols).filter(F.col("stream_key") == str(sliced)).persist()
-    i3 = scaled(ev)
+    i3 = scaled(ev, stretch)
     out = []
     for theta in thetas:
         a, one = timed(lambda t=theta: mine(ev, i3, t, max_nodes, strategy="one_pass", counting=counting, kernel=kernel))

@@ -17,32 +17,41 @@ TOP = (1 << 62, 1 << 62)
 STEP_SQL = "struct<ut:bigint,ue:bigint,cnt:bigint,ot:bigint,oe:bigint>"
 
 
+def _next_free(st: np.ndarray, se: np.ndarray, et: np.ndarray, ee: np.ndarray) -> list[int]:
+    """For each interval the first one that starts after its end; starts are in order of position."""
+    lo, hi = np.searchsorted(st, et, "left"), np.searchsorted(st, et, "right")
+    for j in np.flatnonzero(lo < hi):  # starts at the very time of the end: ids decide
+        hi[j] = lo[j] + np.searchsorted(se[lo[j] : hi[j]], ee[j], "right")
+    return hi.tolist()
+
+
 def carry_map(st: np.ndarray, se: np.ndarray, et: np.ndarray, ee: np.ndarray, bound: int) -> list[Step]:
     """The map of a segment (bound, ...] from its intervals in order of end; starts are in order too."""
     n = len(et)
     if not n:
         return []
-    if (se == 0).all() and (ee == 0).all():  # positions are times alone
-        after = np.searchsorted(st, et, "right")
-    else:
-        rank = np.unique(np.rec.fromarrays([np.r_[st, et], np.r_[se, ee]]), return_inverse=True)[1]
-        after = np.searchsorted(rank[:n], rank[n:], "right")
-    count, last = np.ones(n + 1, np.int64), np.arange(n + 1)
-    count[n] = 0
-    hop = np.r_[after, n]
-    while True:  # doubling: each round follows chains twice as far
-        more = hop < n
-        if not more.any():
-            break
-        # last hop that still is an interval, and how many are accepted on the way
-        count = count + np.where(more, count[hop], 0)
-        last = np.where(more, last[hop], last)
-        hop = hop[hop]
+    hop = _next_free(st, se, et, ee)
+    count: dict[int, int] = {n: 0}
+    last: dict[int, int] = {}
+
+    def follow(i: int) -> None:
+        """Accepted intervals from i on and the last of them; paths that meet are walked once."""
+        path = []
+        while i not in count:
+            path.append(i)
+            i = hop[i]
+        c, z = count[i], last.get(i)
+        for j in reversed(path):
+            c += 1
+            z = j if z is None else z
+            count[j], last[j] = c, z
+
     inside = int(np.searchsorted(st, bound, "right"))
     out: list[Step] = []
     for i in range(min(inside, n - 1) + 1):
         upper = (int(st[i]), int(se[i])) if i < inside else TOP
-        step = (*upper, int(count[i]), int(et[last[i]]), int(ee[last[i]]))
+        follow(i)
+        step = (*upper, count[i], int(et[last[i]]), int(ee[last[i]]))
         if out and out[-1][2:] == step[2:]:
             out[-1] = step
         elif not out or out[-1][:2] != step[:2]:

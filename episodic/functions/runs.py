@@ -47,3 +47,30 @@ def over_runs(df: DataFrame, key: list[str], order: list[str], kernel: Callable[
 
 def _batch(rows: list[tuple], target: pa.Schema) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), target, strict=True)], schema=target)
+
+
+def fold_rows(df: DataFrame, key: list[str], order: list[str], kernel: Callable[[tuple, list[tuple]], tuple], schema: str, target: pa.Schema) -> DataFrame:
+    """kernel(key, rows) -> one row, for each run of small rows with equal key; rows are the other columns as tuples.
+
+    Cheaper than over_runs where runs are many and short: columns become Python values once a batch.
+    """
+    rest = [c for c in df.columns if c not in key]
+    n = len(key)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        current, held = None, []
+        for b in batches:
+            out = []
+            for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                k = row[:n]
+                if k != current:
+                    if held:
+                        out.append(kernel(current, held))
+                    current, held = k, []
+                held.append(row[n:])
+            if out:
+                yield _batch(out, target)
+        if held:
+            yield _batch([kernel(current, held)], target)
+
+    return df.select(*key, *rest).repartition(*key).sortWithinPartitions(*key, *order).mapInArrow(run, schema)

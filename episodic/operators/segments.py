@@ -16,8 +16,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from episodic.functions.carry import apply_map, carry_map, chain_starts, compose
-from episodic.functions.runs import over_runs
+from episodic.functions.runs import fold_rows, over_runs
 from episodic.model import Episode, collect_episodes
+from episodic.operators.chains import latest_starts, shape
 
 #: Events of a segment aimed at, maps composed in one step, and candidates that may be sent to every task.
 SEGMENT_EVENTS, FAN, MOST_BROADCAST = 200_000, 64, 1_000_000
@@ -28,13 +29,17 @@ _COUNTS = pa.schema([("episode_id", pa.int64()), ("stream_key", pa.string()), ("
 COUNTS_SQL = "episode_id bigint, stream_key string, support bigint"
 
 
-def segment_width(ev: DataFrame, reach: int, least: int | None = None, slots: int | None = None) -> int:
+def extent(ev: DataFrame) -> tuple[int | None, int | None, int]:
+    """(first time, last time, events)."""
+    return tuple(ev.agg(F.min("t"), F.max("t"), F.count("*")).first())
+
+
+def segment_width(extent_: tuple[int | None, int | None, int], reach: int, slots: int) -> int:
     """A width over the reach that gives about SEGMENT_EVENTS events a segment, and not fewer segments than slots if that allows."""
-    lo, hi, n = ev.agg(F.min("t"), F.max("t"), F.count("*")).first()
+    lo, hi, n = extent_
     span = max(1, (hi or 0) - (lo or 0) + 1)
-    slots = slots or ev.sparkSession.sparkContext.defaultParallelism
     parts = max(1, min(math.ceil(n / SEGMENT_EVENTS), span), min(slots, n // 2_000))
-    return max(4 * reach + 1, math.ceil(span / parts), least or 1)
+    return max(4 * reach + 1, math.ceil(span / parts))
 
 
 def place(ev: DataFrame, width: int, reach: int, both_sides: bool = False) -> DataFrame:
@@ -119,25 +124,24 @@ def compose_maps(maps: DataFrame, segments: int | None = None) -> DataFrame:
         lo, hi = maps.agg(F.min("seg"), F.max("seg")).first()
         segments = 0 if lo is None else hi - lo + 1
 
-    def joined(table: pa.Table) -> list[tuple]:
-        k, stream, up = (table.column(c)[0].as_py() for c in ("episode_id", "stream_key", "up"))
-        whole = None
-        for flat in table.column("steps").to_pylist():
-            whole = _steps(flat) if whole is None else compose(whole, _steps(flat))
-        return [(k, stream, up, [v for s in whole for v in s])]
+    def joined(key: tuple, rows: list[tuple]) -> tuple:
+        whole = _steps(rows[0][1])
+        for _, flat in rows[1:]:
+            whole = compose(whole, _steps(flat))
+        return (*key, [v for s in whole for v in s])
 
-    def applied(table: pa.Table) -> list[tuple]:
+    def applied(key: tuple, rows: list[tuple]) -> tuple:
         n, t, e = 0, -(1 << 62), -(1 << 62)
-        for flat in table.column("steps").to_pylist():
+        for _, flat in rows:
             c, t, e = apply_map(_steps(flat), t, e)
             n += c
-        return [(table.column("episode_id")[0].as_py(), table.column("stream_key")[0].as_py(), n)]
+        return (*key, n)
 
     while segments > FAN:
-        up = maps.withColumn("up", F.floor(F.col("seg") / FAN).cast("bigint"))
-        maps = over_runs(up, ["episode_id", "stream_key", "up"], ["seg"], joined, MAPS_SQL, _MAPS)
+        up = maps.select("episode_id", "stream_key", F.floor(F.col("seg") / FAN).cast("bigint").alias("up"), "seg", "steps")
+        maps = fold_rows(up, ["episode_id", "stream_key", "up"], ["seg"], joined, MAPS_SQL, _MAPS)
         segments = segments // FAN + 2
-    return over_runs(maps, ["episode_id", "stream_key"], ["seg"], applied, COUNTS_SQL, _COUNTS)
+    return fold_rows(maps, ["episode_id", "stream_key"], ["seg"], applied, COUNTS_SQL, _COUNTS)
 
 
 def with_zeros(counts: DataFrame, eps: DataFrame) -> DataFrame:
@@ -155,24 +159,20 @@ def count_nonoverlapped(ev: DataFrame, eps: DataFrame, engine: str = "arrow", wi
     """
     if engine not in ("arrow", "relational"):
         raise ValueError("engine is arrow or relational")
+    slots = ev.sparkSession.sparkContext.defaultParallelism
+    spread = extent(ev)
     if engine == "arrow":
         episodes = collect_episodes(eps, MOST_BROADCAST)
         reaches = [e.reach for e in episodes.values()]
         reach = None if any(r is None for r in reaches) else max(reaches, default=0)
-        width = None if reach is None else max(width or segment_width(ev, reach), reach + 1)
-        slots = ev.sparkSession.sparkContext.defaultParallelism
-        groups = groups or max(1, min(slots, len(episodes) // 2_000))
-        maps = segment_maps(ev, episodes, width, groups)
     else:
-        from episodic.operators.chains import latest_starts, shape
-
         _, reach, _ = shape(eps)
-        width = None if reach is None else max(width or segment_width(ev, reach), reach + 1)
+    width = None if reach is None else max(width or segment_width(spread, reach, slots), reach + 1)
+    if engine == "arrow":
+        maps = segment_maps(ev, episodes, width, groups or max(1, min(slots, len(episodes) // 2_000)))
+    else:
         maps = carry_maps(latest_starts(ev, eps), width)
-    segments = 1
-    if width is not None:
-        lo, hi = ev.agg(F.min("t"), F.max("t")).first()
-        segments = 1 if lo is None else (hi - lo) // width + 2
+    segments = 1 if width is None or spread[0] is None else (spread[1] - spread[0]) // width + 2
     counts = compose_maps(maps, segments)
     return counts if by_stream else with_zeros(counts, eps)
 

@@ -39,23 +39,26 @@ class Mined:
 
 
 def mine(
-    ev: DataFrame, intervals: list[Interval], theta: int, max_nodes: int = 8, strategy: str = "two_pass", counting: str = "auto", engine: str = "arrow", kernel: str = "latest", width: int | None = None,
+    ev: DataFrame, intervals: list[Interval], theta: int, max_nodes: int = 8, strategy: str = "auto", counting: str = "auto", engine: str = "arrow", kernel: str = "latest", width: int | None = None,
     model: CrossoverModel | None = None, batch: int = 32, budget: int = CANDIDATE_BUDGET, uniform: bool = False,
 ) -> Mined:
     """All episodes of up to max_nodes nodes whose edges take intervals from `intervals` and whose support reaches theta.
 
-    strategy: "two_pass" culls by relaxed counts first, "one_pass" counts all exactly. counting: "segment", "episode"
+    strategy: "two_pass" culls by relaxed counts first, "one_pass" counts all exactly; "auto" takes two passes where the
+    relaxed machine is cheaper than the exact one (list automata) and one where both cost the same (latest starts). counting: "segment", "episode"
     or "auto" (the dispatcher). uniform: one interval for all edges of an episode. A level with more candidates than
     `budget` is refused with its number. Levels are written to the shared folder; the driver holds counters only.
     """
     if theta < 1 or max_nodes < 1 or not intervals:
         raise ValueError("theta and max_nodes are at least 1, and there is at least one interval")
-    if strategy not in ("two_pass", "one_pass") or counting not in ("auto", "segment", "episode"):
-        raise ValueError("strategy is two_pass or one_pass; counting is auto, segment or episode")
+    if strategy not in ("auto", "two_pass", "one_pass") or counting not in ("auto", "segment", "episode"):
+        raise ValueError("strategy is auto, two_pass or one_pass; counting is auto, segment or episode")
     slots = ev.sparkSession.sparkContext.defaultParallelism
 
-    def count(e: DataFrame, c: DataFrame, way: str) -> DataFrame:
-        return count_episode_parallel(e, c, kernel, batch) if way == "episode" else count_nonoverlapped(e, c, engine, width)
+    def count(e: DataFrame, c: DataFrame, way: str, relaxed: bool = False) -> DataFrame:
+        if way == "episode":  # the relaxed form has a cheaper machine
+            return count_episode_parallel(e, c, "slot" if relaxed and kernel == "list" else kernel, batch)
+        return count_nonoverlapped(e, c, engine, width)
 
     began = time.time()
     symbols = ev.select("sym").distinct().count()
@@ -79,8 +82,8 @@ def mine(
         cands = level_store(numbered(found), f"candidates-{k}")
         way = choose_counting(m, k, slots, batch, model) if counting == "auto" else counting
         table = as_table(cands)
-        if strategy == "two_pass":
-            upper = upper_counts(ev, table, lambda e, c, w=way: count(e, c, w))
+        if strategy == "two_pass" or (strategy == "auto" and way == "episode" and kernel == "list"):
+            upper = upper_counts(ev, table, lambda e, c, w=way: count(e, c, w, True))
             table = level_store(table.join(upper.filter(F.col("upper") >= theta).select("episode_id"), "episode_id", "left_semi"), f"survivors-{k}")
         left = table.count()
         way = choose_counting(left, k, slots, batch, model) if counting == "auto" else counting

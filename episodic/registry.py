@@ -228,6 +228,11 @@ def frequent_all_levels(spark, d):
     return frequent(spark, d).select("size", written().alias("episode"), "support")
 
 
+@query(_FREQUENT)
+def frequent_two_pass(spark, d):
+    return frequent(spark, d, strategy="two_pass").select("size", written().alias("episode"), "support")
+
+
 @query(_FREQUENT)
 def frequent_one_pass(spark, d):
     return frequent(spark, d, strategy="one_pass").select("size", written().alias("episode"), "support")
