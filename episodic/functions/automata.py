@@ -11,6 +11,8 @@ from collections import deque
 from collections.abc import Iterable, Sequence
 from dataclasses import dataclass, field
 
+import numpy as np
+
 from episodic.model import Episode
 
 
@@ -174,3 +176,63 @@ class MachineBank:
                 setattr(self.work, f, getattr(self.work, f) + getattr(m.work, f))
             self.work.peak_list = max(self.work.peak_list, m.work.peak_list)
         return counts
+
+
+class SlotBank:
+    """All relaxed machines of one size advanced together: their state has a fixed shape, so an event is a few array steps.
+
+    Exact machines have no such form, because their lists differ in length.
+    """
+
+    def __init__(self, episodes: dict[int, Episode]):
+        self.ids = list(episodes)
+        self.size = len(next(iter(episodes.values())).nodes)
+        self.at: dict[str, list[tuple[int, np.ndarray]]] = {}
+        for i in range(self.size - 1, -1, -1):
+            by: dict[str, list[int]] = {}
+            for r, e in enumerate(episodes.values()):
+                by.setdefault(e.nodes[i], []).append(r)
+            for s, rows in by.items():
+                self.at.setdefault(s, []).append((i, np.array(rows)))
+        edges = max(1, self.size - 1)
+        never = -(1 << 62)
+        self.never = never
+        self.high = np.array([[(1 << 61) if x.high is None else x.high for x in e.edges] or [0] for e in episodes.values()], np.int64).T.copy()
+        self.new = np.full((edges, len(episodes)), never, np.int64)
+        self.old = self.new.copy()
+
+    def run(self, times: Iterable[int], syms: Iterable[str]) -> dict[int, int]:
+        count = np.zeros(len(self.ids), np.int64)
+        new, old, high, last = self.new, self.old, self.high, self.size - 1
+        done = np.zeros(len(self.ids), bool)
+        for t, s in zip(times, syms, strict=True):
+            ended = None
+            for i, rows in self.at.get(s, ()):
+                if ended is not None:
+                    rows = rows[~done[rows]]
+                if i:
+                    before = new[i - 1, rows]
+                    before = np.where(before == t, old[i - 1, rows], before)
+                    rows = rows[(before > self.never) & (t - before <= high[i - 1, rows])]
+                if not len(rows):
+                    continue
+                if i == last:
+                    count[rows] += 1
+                    done[rows], ended = True, rows
+                    continue
+                fresh = rows[new[i, rows] != t]
+                old[i, fresh] = new[i, fresh]
+                new[i, fresh] = t
+            if ended is not None:
+                new[:, ended] = self.never
+                old[:, ended] = self.never
+                done[ended] = False
+        return dict(zip(self.ids, count.tolist(), strict=True))
+
+
+def slot_counts(episodes: dict[int, Episode], times: Sequence[int], syms: Sequence[str]) -> dict[int, int]:
+    """Relaxed counts of many episodes of any sizes."""
+    out: dict[int, int] = {}
+    for n in sorted({len(e.nodes) for e in episodes.values()}):
+        out |= SlotBank({k: e for k, e in episodes.items() if len(e.nodes) == n}).run(times, syms)
+    return out

@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from episodic.functions.automata import MachineBank
+from episodic.functions.automata import MachineBank, slot_counts
 from episodic.functions.carry import chain_starts, greedy
 from episodic.functions.runs import over_runs
 from episodic.model import Episode, collect_episodes
@@ -40,6 +40,8 @@ def count_episode_parallel(ev: DataFrame, eps: DataFrame, kernel: str = "list",
         if kernel == "latest":
             events, memo = arrays_of(table), {}
             return [(i, stream, len(greedy(*chain_starts(events, e.nodes, tuple((x.low, x.high) for x in e.edges), memo)))) for i, e in own.items()]
+        if kernel == "slot":
+            return [(i, stream, n) for i, n in slot_counts(own, table.column("t").to_pylist(), table.column("sym").to_pylist()).items()]
         got = MachineBank(own, kernel).run(table.column("t").to_pylist(), table.column("sym").to_pylist())
         return [(i, stream, n) for i, n in got.items()]
 

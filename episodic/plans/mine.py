@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import time
 from dataclasses import dataclass, field
 from functools import reduce
@@ -57,7 +58,8 @@ def mine(
 
     def count(e: DataFrame, c: DataFrame, way: str, relaxed: bool = False) -> DataFrame:
         if way == "episode":  # the relaxed form has a cheaper machine
-            return count_episode_parallel(e, c, "slot" if relaxed and kernel == "list" else kernel, batch)
+            share = max(batch, math.ceil(c.count() / (2 * slots)))  # enough groups to fill the slots: each reads the stream once
+            return count_episode_parallel(e, c, "slot" if relaxed and kernel == "list" else kernel, share)
         return count_nonoverlapped(e, c, engine, width)
 
     began = time.time()

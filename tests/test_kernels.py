@@ -7,7 +7,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from episodic.functions.automata import MachineBank, Work, list_automaton, slot_automaton
+from episodic.functions.automata import MachineBank, Work, list_automaton, slot_automaton, slot_counts
 from episodic.functions.carry import apply_map, carry_map, chain_starts, compose, greedy
 from episodic.model import Episode, Interval, format_episode, parse_episode
 from episodic.operators.stitch import machine_tuple
@@ -109,6 +109,8 @@ def test_bank_matches_single_machines():
     bank = MachineBank(eps)
     assert bank.run(times, syms) == {i: list_automaton(times, syms, e)[0] for i, e in eps.items()}
     assert bank.divergent > 0
+    eps |= {100: Episode(("A",)), 101: Episode(("A", "A"), (Interval(0, 3),))}
+    assert slot_counts(eps, times, syms) == {i: slot_automaton(times, syms, e)[0] for i, e in eps.items()}
 
 
 def test_slot_work_is_smaller():
