@@ -1,13 +1,17 @@
 """Embedding near-dedup by sorted projection passes.
 
-Each pass orders all vectors lexicographically by 62 concatenated random hyperplane bits and compares each with a
-bounded window of its neighbours, by exact cosine in double precision. The verified pairs of all passes are united.
-The number of passes follows from the row count so that a pair right at the threshold is missed with a chance below
-MISS. Windows bound the comparisons, so the exact way for the rest follows: inside each component that the passes
-found, all members are compared in bounded tiles, which counts every link of dense groups wider than any window.
-
-A pass writes at most one edge a vector and window block (a star to the block's root), never all pairs of a group.
-Rows reach windows by range partitions of (pass, key), so a group of copies, whose keys are equal, is cut by id.
+Each pass gives every vector a key of `depth` random hyperplane bits and compares all vectors of equal key, by exact
+cosine in double precision, however many they are: rows are sorted by key, and a key held by more than a window of rows
+is compared in tiles of a window each. The verified pairs of all passes are united. So whether a pass compares a pair
+depends on the angle between the two alone, not on how many rows lie near them, and the number of passes that holds the
+chance to miss a pair right at the threshold below MISS follows from the depth.
+
+The depth is the one whose passes cost least by the number of rows that share keys, which probe passes of their own
+planes measure on the table at hand. Vectors that crowd together share more bits, which makes shallow keys dear; where
+no depth pays, it is 0: one pass that compares every pair. Then inside each component all members are compared in
+tiles, which counts every link.
+
+A run of rows writes at most one edge a vector (a star to the smallest id), never all pairs of a group.
 """
 
 from __future__ import annotations
@@ -24,19 +28,34 @@ from .components import connected_components
 from .runtime import materialize
 from .tiles import in_tiles, over_runs, star_edges
 
-WINDOW, BLOCK, TILE = 256, 512, 256
-#: Chance, for a pair exactly at the threshold, that no pass puts it in one window; and what partition ends may cost.
-MISS, ENDS = 1e-4, 0.75
-BITS = 62
-#: Rows of a range partition aimed at.
+#: Rows of one side of a comparison: in passes, and when links are counted.
+WINDOW, TILE = 1024, 256
+#: Chance, for a pair exactly at the threshold, that no pass compares it.
+MISS = 1e-4
+#: Passes that only measure how many rows share keys, and the fewest rows a key should be left with.
+PROBES, FEWEST = 4, 16
+#: Bringing a row to a run costs as much as so many comparisons.
+ROW_COST = 1_000
+#: Rows of a partition aimed at.
 PART_ROWS = 60_000
 
 
-def passes_for(rows: int, threshold: float, window: int = WINDOW, miss: float = MISS) -> int:
-    """Passes needed: sharing log2(rows / window) leading bits puts two vectors within a window."""
-    agree = 1 - math.acos(min(1.0, max(-1.0, threshold))) / math.pi
-    hit = ENDS * agree ** max(1.0, math.log2(max(2.0, rows / window)))
-    return max(4, math.ceil(math.log(miss) / math.log(1 - min(hit, 0.999))))
+def _agree(threshold: float) -> float:
+    """Chance that a random hyperplane leaves two vectors at the threshold on one side."""
+    return 1 - math.acos(min(1.0, max(-1.0, threshold))) / math.pi
+
+
+def passes_for(depth: int, threshold: float, miss: float = MISS) -> float:
+    """Passes of `depth` bits needed, whatever the other vectors are; infinite where no number is enough."""
+    hit = _agree(threshold) ** depth
+    if not depth or not hit:
+        return math.inf if depth else 1
+    return math.ceil(math.log(miss) / math.log1p(-min(hit, 0.999)))
+
+
+def depth_for(passes: int, threshold: float, deepest: int, miss: float = MISS) -> int:
+    """The most bits, up to deepest, for which so many passes are enough."""
+    return max(d for d in range(deepest + 1) if passes_for(d, threshold, miss) <= max(1, passes))
 
 
 def _unit(column: pa.Array) -> list[np.ndarray | None]:
@@ -55,26 +74,33 @@ def _unit(column: pa.Array) -> list[np.ndarray | None]:
     return out
 
 
-def _planes(n: int, dim: int, p: int) -> np.ndarray:
-    return np.random.default_rng((20177, dim, p)).standard_normal((dim, n))
+def _planes(depth: int, dim: int, passes: int, seed: int) -> np.ndarray:
+    return np.random.default_rng((seed, dim)).standard_normal((dim, passes * depth))
 
 
-def _keyed(passes: int):
+def _vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        vecs = [None if u is None else u.tobytes() for u in _unit(b.column(1))]
+        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(vecs, pa.binary())], ["id", "vec"])
+
+
+def _keyed(passes: int, depth: int, seed: int):
+    """(id, vec, keys): a key of `depth` bits for each pass."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         planes: dict[int, np.ndarray] = {}
-        weights = (1 << np.arange(BITS - 1, -1, -1)).astype(np.int64)
+        weights = (1 << np.arange(depth - 1, -1, -1)).astype(np.int64)
         for b in batches:
-            units = _unit(b.column(1))
-            keys: list[list[int] | None] = [None] * len(units)
-            for dim in {len(u) for u in units if u is not None}:
+            if not b.num_rows:
+                continue
+            keys = np.zeros((b.num_rows, passes), np.int64)
+            for at, x in _matrix(b.column(1)).values():
+                dim = x.shape[1]
                 if dim not in planes:
-                    planes[dim] = np.concatenate([_planes(BITS, dim, p) for p in range(passes)], 1)
-                at = [i for i, u in enumerate(units) if u is not None and len(u) == dim]
-                bits = np.array([units[i] for i in at]) @ planes[dim] > 0
-                for i, k in zip(at, (bits.reshape(len(at), passes, BITS) @ weights).tolist(), strict=True):
-                    keys[i] = k
-            vecs = [None if u is None else u.tobytes() for u in units]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(vecs, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], ["id", "vec", "keys"])
+                    planes[dim] = _planes(depth, dim, passes, seed)
+                keys[at] = (x @ planes[dim] > 0).reshape(len(at), passes, depth) @ weights
+            ends = pa.array(np.arange(0, keys.size + 1, passes), pa.int32())
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.ListArray.from_arrays(ends, pa.array(keys.ravel()))], ["id", "vec", "keys"])
 
     return run
 
@@ -90,39 +116,23 @@ def _matrix(vecs: pa.ChunkedArray | pa.Array) -> dict[int, tuple[np.ndarray, np.
     return out
 
 
-def _windows(threshold: float, window: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tail: dict[tuple[int, int], tuple[np.ndarray, np.ndarray]] = {}
-        current = None
-        for b in batches:
-            passes = b.column(0).to_numpy()
-            ids_all = b.column(1).to_numpy()
-            left, right = [], []
-            for p in np.unique(passes):  # sorted: a batch may hold the end of a pass and the start of the next
-                if p != current:
-                    tail, current = {}, p
-                sel = np.flatnonzero(passes == p)
-                for dim, (at, x) in _matrix(b.column(2).take(pa.array(sel))).items():
-                    ids = ids_all[sel[at]]
-                    if dim in tail:
-                        ids, x = np.r_[tail[dim][0], ids], np.r_[tail[dim][1], x]
-                    old = len(tail[dim][0]) if dim in tail else 0
-                    for s in range(old, len(ids), BLOCK):
-                        e, lo = min(s + BLOCK, len(ids)), max(0, s - window)
-                        near = x[s:e] @ x[lo:e].T >= threshold
-                        i, j = np.nonzero(near)
-                        i, j = i + s, j + lo
-                        ok = (j < i) & (i - j <= window)
-                        if ok.any():
-                            u, v = star_edges(ids, i[ok], j[ok])
-                            left.append(u)
-                            right.append(v)
-                    tail[dim] = (ids[-window:], x[-window:])
-            a = np.concatenate(left) if left else np.zeros(0, np.int64)
-            c = np.concatenate(right) if right else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(c, pa.int64())], ["a", "b"])
+def _pairs(threshold: float):
+    def kernel(t: pa.Table) -> pa.Table | None:
+        all_ids, own = t.column("id").to_numpy(), t.column("own").to_numpy()
+        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+        left, right = [], []
+        for at, x in _matrix(t.column("vec")).values():
+            ids, o = all_ids[at], own[at]
+            a, b = np.flatnonzero(o == i), np.flatnonzero(o == j)
+            u, v = np.nonzero(x[a] @ x[b].T >= threshold)
+            u, v = a[u], b[v]
+            if (u != v).any():
+                near, root = star_edges(ids, u[u != v], v[u != v])
+                left.append(near)
+                right.append(root)
+        return pa.table({"a": np.concatenate(left), "b": np.concatenate(right)}) if left else None
 
-    return run
+    return kernel
 
 
 def _links(threshold: float):
@@ -143,30 +153,53 @@ def _links(threshold: float):
     return kernel
 
 
+def _plan(vectors: DataFrame, rows: int, threshold: float, window: int) -> tuple[int, int]:
+    """(depth, passes) of the least cost: passes times what comparing all rows of equal keys costs, as probes measure it."""
+    deepest = max(0, min(30, math.ceil(math.log2(max(1, rows) / FEWEST))))
+    if not deepest:
+        return 0, 1
+    probes = vectors.mapInArrow(_keyed(PROBES, deepest, 20178), "id bigint, vec binary, keys array<bigint>")
+    leaves = probes.select(F.posexplode("keys").alias("pass", "k")).groupBy("pass", "k").agg(F.count("*").alias("n"))
+    levels = leaves.select("pass", "n", "k", F.explode(F.sequence(F.lit(0), F.lit(deepest))).alias("depth"))
+    shared = levels.groupBy("pass", "depth", F.expr(f"shiftright(k, {deepest} - depth)").alias("k")).agg(F.sum("n").cast("double").alias("n"))
+    cost = F.col("n") * (F.ceil(F.col("n") / window) * ROW_COST + F.col("n") / 2)
+    spent = {r["depth"]: r["cost"] / PROBES for r in shared.groupBy("depth").agg(F.sum(cost).alias("cost")).collect()}
+    depth = min(spent, key=lambda d: passes_for(d, threshold) * spent[d], default=0)
+    return depth, int(passes_for(depth, threshold))
+
+
 def near_vectors(vectors: DataFrame, threshold: float = 0.9, key: str = "vec_id", vector: str = "embedding", passes: int | None = None, window: int = WINDOW) -> DataFrame:
     """(key, n_links, component_id, kept), one row for each key.
 
     n_links: other vectors with cosine >= threshold; component_id: smallest key reachable by links, itself included.
     Null, empty, zero or non-finite vectors and those with null components link with nothing; vectors of different
     dimension neither. Rows that repeat key and vector are one vector; a null key is left out of links and gets a row
-    with a null component. Empty tables give an empty result.
+    with a null component. Empty tables give an empty result. With `passes` the depth follows from their number.
     """
     slim = vectors.select(F.col(key).cast("bigint").alias("id"), F.col(vector).cast("array<double>").alias("v"))
-    rows = slim.count()
-    passes = passes or passes_for(rows, threshold, window)
-    keyed = materialize(slim.mapInArrow(_keyed(passes), "id bigint, vec binary, keys array<bigint>"), "projections")
-    valid = keyed.filter("id IS NOT NULL AND keys IS NOT NULL")
-    laid = valid.select("id", "vec", F.posexplode("keys").alias("pass", "k"))
-    spread = laid.repartitionByRange(max(1, rows * passes // PART_ROWS), "pass", "k", "id").sortWithinPartitions("pass", "k", "id")
-    edges = spread.select(F.col("pass").cast("bigint").alias("pass"), "id", "vec").mapInArrow(_windows(threshold, window), "a bigint, b bigint")
+    units = materialize(slim.mapInArrow(_vectors, "id bigint, vec binary"), "unit-vectors")
+    valid = units.filter("id IS NOT NULL AND vec IS NOT NULL")
+    rows = valid.count()
+    if passes:
+        depth = depth_for(passes, threshold, max(0, min(30, math.ceil(math.log2(max(1, rows) / FEWEST)))))
+        passes = passes if depth else 1
+    else:
+        depth, passes = _plan(valid, rows, threshold, window)
+    keyed = materialize(valid.mapInArrow(_keyed(passes, depth, 20177), "id bigint, vec binary, keys array<bigint>"), "projections")
+    run = (F.col("pass").cast("bigint") * (1 << depth) + F.col("k")).alias("run")
+    shared = keyed.select(F.posexplode("keys").alias("pass", "k")).select(run).groupBy("run").agg(F.count("*").alias("members"))
+    wide = materialize(shared.filter(F.col("members") > window), "wide-keys").withColumnRenamed("run", "wide")
+    laid = keyed.select("id", "vec", F.posexplode("keys").alias("pass", "k")).select("id", "vec", run)
+    sized = laid.join(wide, laid["run"] == wide["wide"], "left").select("run", "id", "vec", F.coalesce("members", F.lit(1)).alias("members"))
+    edges = over_runs(in_tiles(sized, "run", "members", "id", window, max(1, rows * passes // PART_ROWS)), ["run", "i", "j"], _pairs(threshold), "a bigint, b bigint")
     found = materialize(connected_components(edges), "vector-components")
     sizes = materialize(found.groupBy("component").agg(F.count("*").alias("members")), "component-sizes")
     members = found.join(sizes, "component").join(valid.select("id", "vec").distinct(), F.col("node") == F.col("id")).select("component", "members", "id", "vec")
     counted = over_runs(in_tiles(members, "component", "members", "id", TILE), ["component", "i", "j"], _links(threshold), "id bigint, n bigint")
     links = counted.groupBy("id").agg(F.sum("n").alias("n"))
-    # a component holds its links only: members that no tile linked would stand alone, which the passes rule out
+    # every link that a pass found is counted again here, so each member of a component has one at least
     labels = found.join(links, found["node"] == links["id"]).select("node", "component", "n")
-    own = keyed.select("id").distinct()
+    own = units.select("id").distinct()
     out = own.join(labels, own["id"] == labels["node"], "left").select(
         own["id"].alias(key), F.coalesce("n", F.lit(0)).cast("bigint").alias("n_links"), F.coalesce("component", own["id"]).alias("component_id")
     )

@@ -10,17 +10,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
-def in_tiles(members: DataFrame, group: str, size: str, member: str, tile: int) -> DataFrame:
+def in_tiles(members: DataFrame, group: str, size: str, member: str, tile: int, parts: int | None = None) -> DataFrame:
     """members, each copied to the tile pairs of its group that need it, sorted in runs of (group, i, j).
 
     A group of `size` members has ceil(size / tile) tiles, dealt by hash, and a run for each pair of tiles. `own` is the
-    member's tile. Groups of one tile are one run; no pair of members is made here.
+    member's tile. Groups of one tile are one run; no pair of members is made here. `parts` partitions, or Spark's number.
     """
     tiles = F.ceil(F.col(size) / tile).cast("int")
     dealt = members.withColumn("tiles", tiles).withColumn("own", F.pmod(F.xxhash64(member, F.lit(7)), F.col("tiles")).cast("int"))
     other = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
     runs = other.withColumn("i", F.least("own", "other")).withColumn("j", F.greatest("own", "other")).drop("other", "tiles")
-    return runs.repartition(group, "i", "j").sortWithinPartitions(group, "i", "j", "own")
+    dealt = runs.repartition(parts, group, "i", "j") if parts else runs.repartition(group, "i", "j")
+    return dealt.sortWithinPartitions(group, "i", "j", "own")
 
 
 def runs_of(batches: Iterator[pa.RecordBatch], key: list[str]) -> Iterator[pa.Table]:

@@ -2,6 +2,7 @@
 
 import collections
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -317,6 +318,34 @@ def test_embeddings(spark):
     assert got == {i: (int(near[i].sum()) - 1, comp[i]) for i in range(len(x))} | {i: (0, i) for i in (9000, 9001, 9002, 9003, 9004)}
 
 
+def test_embeddings_in_a_dense_topic(spark):
+    """A third of the vectors share a direction and lie below the threshold; the links among them are found as elsewhere."""
+    rng = np.random.default_rng(11)
+    x = rng.standard_normal((1500, 48))
+    x[:700] = 2 * rng.standard_normal(48) + x[:700]
+    unit = x / np.linalg.norm(x, axis=1)[:, None]
+    base = unit[:700:2]
+    side = rng.standard_normal(base.shape)
+    side -= (side * base).sum(1)[:, None] * base
+    unit = np.concatenate([unit, 0.91 * base + math.sqrt(1 - 0.91**2) * side / np.linalg.norm(side, axis=1)[:, None]])
+    near = unit @ unit.T >= 0.9
+    np.fill_diagonal(near, False)
+    assert 0.7 < np.median((unit[:700] @ unit[:700].T)[np.triu_indices(700, 1)]) < 0.85 and near.sum() >= 700
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(unit)], "vec_id bigint, embedding array<double>").repartition(4)
+    for passes, window in ((None, 8), (30, 64)):
+        got = {r["vec_id"]: r["n_links"] for r in embeddings.near_vectors(df, passes=passes, window=window).collect()}
+        assert sum(got.values()) / near.sum() == 1 and got == dict(enumerate(near.sum(1).tolist()))
+
+
+def test_embedding_passes():
+    assert embeddings.passes_for(0, 0.9) == 1 and embeddings.passes_for(3, -1.0) == math.inf
+    for depth in (1, 5, 12):
+        n = embeddings.passes_for(depth, 0.9)
+        hit = (1 - math.acos(0.9) / math.pi) ** depth
+        assert (1 - hit) ** n <= embeddings.MISS < (1 - hit) ** (n - 1)
+        assert embeddings.depth_for(n, 0.9, 30) == depth
+
+
 def test_embeddings_empty(spark):
     assert embeddings.near_vectors(spark.createDataFrame([], "vec_id bigint, embedding array<float>")).count() == 0
 
