@@ -2,7 +2,8 @@
 
 Every text is scanned once for candidates: the three base kinds and short assigned values (kind `weak`). The hashes of
 the candidates' values are counted over the whole corpus by distinct repositories (documents) and owners (sources). A
-value that many owners hold is a widely copied example; one that few owners hold looks live. Base spans always stay;
+value that many owners hold is a widely copied example; one that few owners hold looks live, in however many documents
+and copies they hold it. Base spans always stay;
 weak ones are added only where their value is owner-specific and mixes letters and digits. Only the small candidate
 rows are shuffled, never a text; the counts are hash aggregates with map-side combining, so a value that a third of
 all rows hold is one row a task.
@@ -31,8 +32,8 @@ HEX = re.compile(r"[0-9a-f]{16,}")
 ASSIGN_LEAST, ACCESS_LEAST = 12, 18
 #: A weak value has at least so many letters; below ASSIGN_LEAST by its kind.
 WEAK_LEAST = 6
-#: A value held by more owners than this, or in more documents, is a widely copied example.
-COMMON_OWNERS, COMMON_DOCS = 3, 20
+#: A value held by more owners than this is a widely copied example.
+COMMON_OWNERS = 3
 _HINT = re.compile(r"[:=]")
 
 
@@ -77,13 +78,13 @@ def ownership(found: DataFrame) -> DataFrame:
     return docs.groupBy("value", "owner").agg(F.count("*").alias("n")).groupBy("value").agg(F.sum("n").alias("n_docs"), F.count("*").alias("n_owners"))
 
 
-def scan_secrets(docs: DataFrame, key: str = "doc_id", text: str = "text", owner: str = "source", common_owners: int = COMMON_OWNERS, common_docs: int = COMMON_DOCS) -> DataFrame:
+def scan_secrets(docs: DataFrame, key: str = "doc_id", text: str = "text", owner: str = "source", common_owners: int = COMMON_OWNERS) -> DataFrame:
     """One row for each row of docs: key, base_sha256, spans_list (start, end, kind, n_docs, n_owners, live) sorted by start and kind."""
     found = materialize(candidates(docs, key, text, owner), "secret-candidates")
     held = materialize(ownership(found), "ownership")
     each = found.filter(F.size("found") > 0).select("k", "base_sha256", F.explode("found").alias("c")).distinct()
     judged = each.join(held, each["c.value"] == held["value"]).select(
-        "k", "base_sha256", "c", "n_docs", "n_owners", ((F.col("n_owners") <= common_owners) & (F.col("n_docs") <= common_docs)).alias("live")
+        "k", "base_sha256", "c", "n_docs", "n_owners", (F.col("n_owners") <= common_owners).alias("live")
     )
     kept = judged.filter((F.col("c.kind") < 3) | F.col("live"))
     lists = kept.groupBy("k", "base_sha256").agg(

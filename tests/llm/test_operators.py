@@ -220,6 +220,16 @@ def test_secret_ownership(spark):
     assert out[100] == "my [REDACTED]' and pwd" and out[101] == "[REDACTED]"
 
 
+def test_secret_of_one_owner_in_many_documents(spark):
+    """Neither hundreds of documents nor hundreds of copies of one document make an owner's secret an example."""
+    texts = {"own": "token = 'q7w8e9r0t1y2u3'", None: "api_key=zx81cv92bn03", "copied": "secret=ab12cd34"}
+    rows = [(1000 * j + i, f"{t} {'' if o == 'copied' else i}", o) for j, (o, t) in enumerate(texts.items()) for i in range(300)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    spans = secrets.digest_columns(secrets.scan_secrets(df)).collect()
+    assert len(spans) == 900 and all(r["n_live"] == 1 and r["n_example"] == 0 for r in spans)
+    assert all("[REDACTED]" in r["text"] for r in secrets.redact_live(df).collect())
+
+
 def test_packing(odd, docs, empty):
     from tokenizers import Tokenizer
 
