@@ -1,7 +1,7 @@
 """The corpus pipeline: each stage reads all that the one before kept; all but the last return the columns of documents.
 
 1. language_id (operator 3): learns profiles from the labelled rows at hand and drops documents without a letter and
-   those that are far from every profile. 2. exact_dedup (4): one of equal texts stays. 3. near_dedup (6): five-word
+   those that are far from every profile; without any profile it drops the letterless only. 2. exact_dedup (4): one of equal texts stays. 3. near_dedup (6): five-word
    shingles, similarity of 0.8 or more; one document of each group stays. 4. secret_scan (8): owner-specific secrets
    are masked in the text, widely copied examples stay, no document goes. 5. packing (5): pieces of sequences.
 """
@@ -21,9 +21,14 @@ LEAST_SCORE = 0.1
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with a language; null and empty texts and those without a letter go. Repeated rows are judged alike."""
+    """Documents with a language; null and empty texts and those without a letter go. Repeated rows are judged alike.
+
+    Where no row has both a language and a text with letters there is nothing to judge by: every text with a letter stays.
+    """
     ship(spark)
     profiles = langid.learn_profiles(docs)
+    if not profiles:
+        return docs.filter(langid.has_letter()(F.col("text")))
     said = docs.withColumn("__said", langid.language_of(profiles)(F.col("text")))
     return said.filter((F.col("__said.lang_pred") != "und") & (F.col("__said.score") >= LEAST_SCORE)).drop("__said")
 

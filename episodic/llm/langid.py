@@ -139,6 +139,16 @@ def language_of(profiles: dict[str, list[int]], size: int = PROFILE):
     return said
 
 
+def has_letter():
+    """A function of a text column: whether the text has a letter, as n-grams count letters; false for null."""
+
+    @F.arrow_udf("boolean")
+    def said(texts: pa.Array) -> pa.Array:
+        return pa.array([any(map(str.isalpha, t.as_py() or "")) for t in texts], pa.bool_())
+
+    return said
+
+
 def detect(docs: DataFrame, profiles: dict[str, list[int]], text: str = "text", key: str = "doc_id", size: int = PROFILE) -> DataFrame:
     """(key, lang_pred, score) of each row: the nearest language of the whole text; `und` with score 0 where it has no letter.
 

@@ -282,6 +282,16 @@ def test_language(odd, docs, empty):
     assert {r["lang_pred"] for r in langid.detect(docs, {}).collect()} == {"und"}
 
 
+def test_language_stage_without_labels(odd, docs, tiny, spark):
+    """Without one language in the input every text with a letter stays, and letterless ones go as ever."""
+    import corpus_pipeline as C
+
+    for df in (odd, docs):
+        kept = C.language_id(spark, df.withColumn("lang", F.lit(None).cast("string")), tiny)
+        assert kept.columns == df.columns
+        assert sorted(map(str, _texts(kept))) == sorted(str(r) for r in _texts(df) if any(map(str.isalpha, r[1] or "")))
+
+
 def test_toxicity(odd, spark, empty):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     labels = spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
