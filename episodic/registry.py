@@ -483,7 +483,10 @@ def stream_replay_support(spark, d):
 
 @query()
 def synth_recovery(spark, d):
-    """Planted chains that mining finds in a generated recording, with their supports and the best other of their size."""
+    """Supports of the planted chains and their prefixes in a generated recording of 20 s.
+
+    Only planted chains are counted: nothing is mined here, so this shows neither recovery nor false chains.
+    """
     from episodic.sources.synth import DEFAULT_CHAINS, synth_spikes
 
     ev = synth_spikes(spark, seconds=20)
