@@ -469,7 +469,11 @@ def sql_udtf_mine(spark, d):
 
 @query(O.support_sql("types", FEW))
 def stream_replay_support(spark, d):
-    """The events table fed through the streaming counter, day by day; a last empty day lets the watermark pass."""
+    """The events table fed through the streaming counter; a closing event two days later lets the watermark pass.
+
+    Files are not split by day, and up to 1,000 go into one micro-batch: smaller tables are one batch of data, so this
+    does not show machines continued from stored state.
+    """
     from episodic.streaming import replay
 
     root = f"{spark.sparkContext.getConf().get('spark.checkpoint.dir') or 'file://' + tempfile.gettempdir()}/replay-{uuid.uuid4().hex}"
