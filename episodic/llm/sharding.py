@@ -1,8 +1,8 @@
 """Sharding by sampled splitters.
 
 Keys are drawn into a sample with a chance in proportion to their size; quantiles of the sample are the splitters of
-many fine ranges, which all records then fall into. The exact bytes of each range are counted, and a range that is
-overfull is subdivided at exact places inside it. The shard of a record follows from the bytes before it in key order,
+many fine ranges, which all records then fall into. The exact bytes of each range are counted, and a range is cut
+at exact places inside it where a shard ends; an overfull range is not split further before it is sorted. The shard of a record follows from the bytes before it in key order,
 so shards differ by less than one record, whatever the sample was; the sample only decides how even the work is.
 
 The key is a hash of the text followed by one of the id: equal texts lie side by side, and a text that a third of all
