@@ -11,11 +11,13 @@ planes measure on the table at hand. Vectors that crowd together share more bits
 no depth pays, it is 0: one pass that compares every pair. Then inside each component all members are compared in
 tiles, which counts every link.
 
-A run of rows writes at most one edge a vector (a star to the smallest id), never all pairs of a group.
+A run of rows writes at most one edge a vector (a star to the smallest id), never all pairs of a group. Rows of equal
+vectors are one class, compared once however many they are; a class carries the number of its ids.
 """
 
 from __future__ import annotations
 
+import hashlib
 import math
 from collections.abc import Iterator
 
@@ -59,18 +61,19 @@ def depth_for(passes: int, threshold: float, deepest: int, miss: float = MISS) -
 
 
 def _unit(column: pa.Array) -> list[np.ndarray | None]:
-    """Vectors of length one, None where null, empty, zero or not finite throughout."""
+    """Vectors of length one, None where null, empty, zero or not finite throughout; single precision is kept as it is."""
+    single = pa.types.is_float32(column.type.value_type)
     out = []
     for v in column:
-        x = None if v.values is None else np.asarray(v.values.to_numpy(zero_copy_only=False), np.float64)
-        size = 0.0 if x is None or not len(x) else float(np.sqrt(np.dot(x, x)))
-        if x is not None and size and not np.isfinite(size) and np.isfinite(x).all():
+        raw = None if v.values is None else v.values.to_numpy(zero_copy_only=False)
+        x = None if raw is None else np.asarray(raw, np.float64)
+        if x is None or not len(x) or not np.isfinite(x).all() or not x.any():
+            out.append(None)
+        elif single:  # doubles hold its squares, so tiles can norm it
+            out.append(np.asarray(raw, np.float32))
+        else:
             x = x / np.abs(x).max()
-            size = float(np.sqrt(np.dot(x, x)))
-        elif x is not None and len(x) and not size and np.isfinite(x).all() and x.any():
-            x = x / np.abs(x).max()
-            size = float(np.sqrt(np.dot(x, x)))
-        out.append(x / size if size and np.isfinite(size) else None)
+            out.append(x / float(np.sqrt(np.dot(x, x))))
     return out
 
 
@@ -79,9 +82,11 @@ def _planes(depth: int, dim: int, passes: int, seed: int) -> np.ndarray:
 
 
 def _vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(id, h, print, vec): the vector's bytes, 4 or 8 a component, after a byte that says which, and what they are known by."""
     for b in batches:
-        vecs = [None if u is None else u.tobytes() for u in _unit(b.column(1))]
-        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(vecs, pa.binary())], ["id", "vec"])
+        vecs = [None if u is None else bytes([u.itemsize]) + u.tobytes() for u in _unit(b.column(2))]
+        prints = [None if v is None else hashlib.blake2b(v, digest_size=16).digest() for v in vecs]
+        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(prints, pa.binary()), pa.array(vecs, pa.binary())], ["id", "h", "print", "vec"])
 
 
 def _keyed(passes: int, depth: int, seed: int):
@@ -106,13 +111,18 @@ def _keyed(passes: int, depth: int, seed: int):
 
 
 def _matrix(vecs: pa.ChunkedArray | pa.Array) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """By dimension: the rows' places and the matrix of their vectors."""
+    """By dimension: the rows' places and the matrix of their vectors, of length one in double precision."""
     raw = vecs.to_pylist()
     out = {}
-    sizes = np.array([len(v) for v in raw])
-    for s in np.unique(sizes):
-        at = np.flatnonzero(sizes == s)
-        out[int(s)] = (at, np.frombuffer(b"".join(raw[i] for i in at), np.float64).reshape(len(at), -1))
+    kinds = np.array([len(v) * 16 + v[0] for v in raw])
+    for kind in np.unique(kinds):
+        at = np.flatnonzero(kinds == kind)
+        dtype = np.float32 if kind % 16 == 4 else np.float64
+        x = np.frombuffer(b"".join(raw[i][1:] for i in at), dtype).reshape(len(at), -1).astype(np.float64)
+        if dtype is np.float32:
+            x /= np.sqrt(np.einsum("ij,ij->i", x, x))[:, None]
+        dim = x.shape[1]
+        out[dim] = (at, x) if dim not in out else (np.r_[out[dim][0], at], np.concatenate([out[dim][1], x]))
     return out
 
 
@@ -135,20 +145,47 @@ def _pairs(threshold: float):
     return kernel
 
 
+def _near(t: pa.Table, threshold: float) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(rows, columns, which are linked) of a run, by dimension, every two different members of it once in each direction."""
+    own = t.column("own").to_numpy()
+    i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
+    for at, x in _matrix(t.column("vec")).values():
+        o = own[at]
+        a, b = np.flatnonzero(o == i), np.flatnonzero(o == j)
+        near = x[a] @ x[b].T >= threshold
+        if i == j:
+            np.fill_diagonal(near, False)
+        yield at[a], at[b], near
+        if i != j:
+            yield at[b], at[a], near.T
+
+
 def _links(threshold: float):
+    """(id, n): the ids of the classes that a class is linked with, as far as a run shows; those of several classes aside."""
+
     def kernel(t: pa.Table) -> pa.Table | None:
-        ids, own = t.column("id").to_numpy(), t.column("own").to_numpy()
-        n = np.zeros(len(ids), np.int64)
-        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
-        for at, x in _matrix(t.column("vec")).values():
-            o = own[at]
-            if i == j:
-                n[at] += (x @ x.T >= threshold).sum(1) - (np.einsum("ij,ij->i", x, x) >= threshold)
-            else:
-                near = x[o == i] @ x[o == j].T >= threshold
-                n[at[o == i]] += near.sum(1)
-                n[at[o == j]] += near.sum(0)
-        return pa.table({"id": pa.array(ids, pa.int64()), "n": pa.array(n, pa.int64())})
+        weight = t.column("weight").to_numpy()
+        n = np.zeros(len(weight), np.int64)
+        for a, b, near in _near(t, threshold):
+            n[a] += near @ weight[b]
+        return pa.table({"id": t.column("id"), "n": pa.array(n, pa.int64())})
+
+    return kernel
+
+
+def _shared_ids(threshold: float):
+    """(id, other): the ids with several vectors that a class is linked with, as far as a run shows."""
+
+    def kernel(t: pa.Table) -> pa.Table | None:
+        node, shared = t.column("id").to_numpy(), t.column("shared").to_pylist()
+        got = set()
+        for a, b, near in _near(t, threshold):
+            for c in np.flatnonzero([bool(shared[k]) for k in b]):
+                got |= {(int(node[r]), other) for r in a[near[:, c]] for other in shared[b[c]]}
+        if not got:
+            return None
+        x, y = zip(*got, strict=True)
+        return pa.table({"id": pa.array(x, pa.int64()), "other": pa.array(y, pa.int64())})
 
     return kernel
 
@@ -168,45 +205,88 @@ def _plan(vectors: DataFrame, rows: int, threshold: float, window: int) -> tuple
     return depth, int(passes_for(depth, threshold))
 
 
-def near_vectors(vectors: DataFrame, threshold: float = 0.9, key: str = "vec_id", vector: str = "embedding", passes: int | None = None, window: int = WINDOW) -> DataFrame:
-    """(key, n_links, component_id, kept), one row for each key.
-
-    n_links: other vectors with cosine >= threshold; component_id: smallest key reachable by links, itself included.
-    Null, empty, zero or non-finite vectors and those with null components link with nothing; vectors of different
-    dimension neither. Rows that repeat key and vector are one vector; a null key is left out of links and gets a row
-    with a null component. Empty tables give an empty result. With `passes` the depth follows from their number.
-    """
-    slim = vectors.select(F.col(key).cast("bigint").alias("id"), F.col(vector).cast("array<double>").alias("v"))
-    units = materialize(slim.mapInArrow(_vectors, "id bigint, vec binary"), "unit-vectors")
+def _judged(vectors: DataFrame, threshold: float, key: str, vector: str, passes: int | None, window: int) -> tuple[DataFrame, DataFrame]:
+    """Rows (id, h, print) of vectors, and of each print (n_links, component_id, head): head says that its class stays."""
+    kind = "array<float>" if vectors.schema[vector].dataType.simpleString() == "array<float>" else "array<double>"
+    v = F.col(vector).cast(kind)
+    slim = vectors.select(F.col(key).cast("bigint").alias("id"), F.xxhash64(v).alias("h"), v.alias("v"))
+    made = slim.mapInArrow(_vectors, "id bigint, h bigint, print binary, vec binary")
+    units = materialize(made.withColumn("row", F.monotonically_increasing_id()), "unit-vectors")
     valid = units.filter("id IS NOT NULL AND vec IS NOT NULL")
-    rows = valid.count()
+    held = materialize(valid.groupBy("print", "id").agg(F.min("row").alias("row")), "class-ids")
+    several = materialize(held.groupBy("id").agg(F.count("*").alias("times")).filter("times > 1").select("id"), "ids-of-several-vectors")
+    classes = materialize(held.groupBy("print").agg(F.min("row").alias("node"), F.min("id").alias("rep"), F.count("*").alias("ids")), "vector-classes")
+    first = classes.select(F.col("node").alias("row"))
+    nodes = materialize(valid.join(first, "row", "left_semi").select(F.col("row").alias("id"), "vec"), "class-vectors")
+    rows = nodes.count()
     if passes:
         depth = depth_for(passes, threshold, max(0, min(30, math.ceil(math.log2(max(1, rows) / FEWEST)))))
         passes = passes if depth else 1
     else:
-        depth, passes = _plan(valid, rows, threshold, window)
-    keyed = materialize(valid.mapInArrow(_keyed(passes, depth, 20177), "id bigint, vec binary, keys array<bigint>"), "projections")
+        depth, passes = _plan(nodes, rows, threshold, window)
+    keyed = materialize(nodes.mapInArrow(_keyed(passes, depth, 20177), "id bigint, vec binary, keys array<bigint>"), "projections")
     run = (F.col("pass").cast("bigint") * (1 << depth) + F.col("k")).alias("run")
-    shared = keyed.select(F.posexplode("keys").alias("pass", "k")).select(run).groupBy("run").agg(F.count("*").alias("members"))
-    wide = materialize(shared.filter(F.col("members") > window), "wide-keys").withColumnRenamed("run", "wide")
-    laid = keyed.select("id", "vec", F.posexplode("keys").alias("pass", "k")).select("id", "vec", run)
-    sized = laid.join(wide, laid["run"] == wide["wide"], "left").select("run", "id", "vec", F.coalesce("members", F.lit(1)).alias("members"))
-    edges = over_runs(in_tiles(sized, "run", "members", "id", window, max(1, rows * passes // PART_ROWS)), ["run", "i", "j"], _pairs(threshold), "a bigint, b bigint")
+    shared = materialize(keyed.select(F.posexplode("keys").alias("pass", "k")).select(run).groupBy("run").agg(F.count("*").alias("members")).filter("members > 1"), "shared-keys")
+    # a row goes to the runs of keys that it shares with others only
+    laid = keyed.select("id", "vec", F.posexplode("keys").alias("pass", "k")).select("id", "vec", run).join(shared, "run")
+    edges = over_runs(in_tiles(laid, "run", "members", "id", window, max(1, rows * passes // PART_ROWS)), ["run", "i", "j"], _pairs(threshold), "a bigint, b bigint")
     found = materialize(connected_components(edges), "vector-components")
     sizes = materialize(found.groupBy("component").agg(F.count("*").alias("members")), "component-sizes")
-    members = found.join(sizes, "component").join(valid.select("id", "vec").distinct(), F.col("node") == F.col("id")).select("component", "members", "id", "vec")
-    counted = over_runs(in_tiles(members, "component", "members", "id", TILE), ["component", "i", "j"], _links(threshold), "id bigint, n bigint")
-    links = counted.groupBy("id").agg(F.sum("n").alias("n"))
-    # every link that a pass found is counted again here, so each member of a component has one at least
-    labels = found.join(links, found["node"] == links["id"]).select("node", "component", "n")
-    own = units.select("id").distinct()
-    out = own.join(labels, own["id"] == labels["node"], "left").select(
-        own["id"].alias(key), F.coalesce("n", F.lit(0)).cast("bigint").alias("n_links"), F.coalesce("component", own["id"]).alias("component_id")
-    )
+    some_shared = not several.isEmpty()
+    weights = classes.select(F.col("node").alias("id"), F.col("ids").alias("weight"))
+    if some_shared:
+        whose = held.join(several, "id").join(classes.select("print", "node"), "print").groupBy("node").agg(F.collect_set("id").alias("shared"))
+        whose = materialize(whose.withColumnRenamed("node", "id"), "shared-ids")
+        weights = weights.join(whose, "id", "left").withColumn("weight", F.col("weight") - F.coalesce(F.size("shared"), F.lit(0)))
+    weights = materialize(weights, "class-weights")
+    members = found.join(sizes, "component").withColumnRenamed("node", "id").join(nodes, "id").join(weights, "id")
+    tiled = in_tiles(members, "component", "members", "id", TILE)
+    counted = over_runs(tiled, ["component", "i", "j"], _links(threshold), "id bigint, n bigint").groupBy("id").agg(F.sum("n").alias("n"))
+    # a class of its own is linked with itself, so far as it has more ids than one
+    links = weights.join(counted, "id", "left").select("id", (F.col("weight") + F.coalesce("n", F.lit(0)) - 1).alias("n"))
+    if some_shared:
+        others = over_runs(tiled, ["component", "i", "j"], _shared_ids(threshold), "id bigint, other bigint")
+        others = others.unionByName(whose.select("id", F.explode("shared").alias("other"))).distinct().groupBy("id").agg(F.count("*").alias("more"))
+        links = links.join(others, "id", "left").select("id", (F.col("n") + F.coalesce("more", F.lit(0))).alias("n"))
+    placed = classes.join(found.withColumnRenamed("node", "v"), F.col("node") == F.col("v"), "left").select("print", "node", "rep", F.coalesce("component", "node").alias("component"))
+    placed = materialize(placed.join(links, F.col("node") == F.col("id")).select("print", "node", "rep", "component", "n"), "class-components")
+    heads = materialize(placed.groupBy("component").agg(F.min(F.struct("rep", "node")).alias("f")).select("component", "f"), "component-heads")
+    labels = placed.join(heads, "component").select("print", F.col("n").alias("n_links"), F.col("f.rep").alias("component_id"), (F.col("node") == F.col("f.node")).alias("head"))
+    return units.select("id", "h", "print"), labels
+
+
+def near_vectors(vectors: DataFrame, threshold: float = 0.9, key: str = "vec_id", vector: str = "embedding", passes: int | None = None, window: int = WINDOW) -> DataFrame:
+    """(key, n_links, component_id, kept), one row for each row of vectors.
+
+    n_links: other keys with a vector of cosine >= threshold; component_id: smallest key reachable by links, itself
+    included. Null, empty, zero or non-finite vectors and those with null components link with nothing; vectors of
+    different dimension neither. Rows that repeat a key are vectors of their own, linked only if alike, and never count
+    as each other's link. A null key is left out of links and has a null component. Empty tables give an empty result.
+    With `passes` the depth follows from their number.
+    """
+    rows, labels = _judged(vectors, threshold, key, vector, passes, window)
+    valid = F.col("id").isNotNull() & F.col("print").isNotNull()
+    linked = rows.filter(valid).join(labels, "print").select("id", F.col("n_links").cast("bigint").alias("n_links"), "component_id")
+    alone = rows.filter(~valid).select("id", F.lit(0).cast("bigint").alias("n_links"), F.col("id").alias("component_id"))
+    out = linked.unionByName(alone).select(F.col("id").alias(key), "n_links", "component_id")
     return out.withColumn("kept", F.col(key).eqNullSafe(F.col("component_id")))
 
 
 def drop_near_vectors(vectors: DataFrame, threshold: float = 0.9, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
-    """The rows of vectors that stay: one of each component, with their own columns."""
-    stay = near_vectors(vectors, threshold, key, vector).filter("kept").select(F.col(key).alias("__k"))
-    return vectors.join(stay, vectors[key].eqNullSafe(stay["__k"]), "left_semi")
+    """The rows of vectors that stay, with their own columns: one of each component; rows that link with nothing all stay.
+
+    Rows are told apart by key and vector; of rows that repeat both, one stays.
+    """
+    rows, labels = _judged(vectors, threshold, key, vector, None, WINDOW)
+    valid = rows.filter("id IS NOT NULL AND print IS NOT NULL").join(labels, "print")
+    stays = F.col("head") & (F.col("id") == F.col("component_id"))
+    named = [F.col("id").alias("__k"), F.col("h").alias("__h")]
+    gone = materialize(valid.filter(~stays).select(*named).distinct(), "near-vectors")
+    same = materialize(valid.filter(stays).groupBy("id", "h").agg(F.count("*").alias("times")).filter("times > 1").select(*named), "repeated-rows")
+    kind = "array<float>" if vectors.schema[vector].dataType.simpleString() == "array<float>" else "array<double>"
+    on = lambda t: (vectors[key].cast("bigint") == t["__k"]) & (F.xxhash64(vectors[vector].cast(kind)) == t["__h"])
+    stay = vectors.join(gone, on(gone), "left_anti")
+    if same.isEmpty():
+        return stay
+    once = stay.join(same, on(same), "left_semi").withColumn("__h", F.xxhash64(vectors[vector].cast(kind))).dropDuplicates([key, "__h"]).drop("__h")
+    return stay.join(same, on(same), "left_anti").unionByName(once)

@@ -48,16 +48,16 @@ def _bytes_of(texts: pa.Array) -> Iterator[bytes]:
 
 
 def _blocks(docs: DataFrame, key: str, text: str, size: int, whole: bool) -> DataFrame:
-    """(k, sha, n, pos, digest) of each block of each document, and with `whole` its bytes as `block`."""
+    """(row, k, sha, n, pos, digest) of each block of each row of docs, and with `whole` its bytes as `block`."""
     kind = docs.schema[key].dataType.simpleString()
-    names = ["k", "sha", "n", "pos", "digest", *(["block"] if whole else [])]
+    names = ["row", "k", "sha", "n", "pos", "digest", *(["block"] if whole else [])]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for s in range(0, b.num_rows, 1024):
                 part = b.slice(s, 1024)
                 row, shas, ns, places, digests, blocks = [], [], [], [], [], []
-                for r, raw in enumerate(_bytes_of(part.column(1))):
+                for r, raw in enumerate(_bytes_of(part.column(2))):
                     norm = normalised(raw)
                     sha = hashlib.sha256(norm).digest()
                     cut = [norm] if len(norm) <= size else [norm[i : i + size] for i in range(0, len(norm), size)]
@@ -69,16 +69,17 @@ def _blocks(docs: DataFrame, key: str, text: str, size: int, whole: bool) -> Dat
                         digests.append(sha if len(cut) == 1 else hashlib.sha256(x).digest())
                     if whole:
                         blocks += cut
-                cols = [part.column(0).take(pa.array(row, pa.int64())), pa.array(shas, pa.binary()), pa.array(ns, pa.int32()), pa.array(places, pa.int32()), pa.array(digests, pa.binary())]
+                own = pa.array(row, pa.int64())
+                cols = [part.column(0).take(own), part.column(1).take(own), pa.array(shas, pa.binary()), pa.array(ns, pa.int32()), pa.array(places, pa.int32()), pa.array(digests, pa.binary())]
                 yield pa.RecordBatch.from_arrays(cols + ([pa.array(blocks, pa.binary())] if whole else []), names)
 
-    schema = f"k {kind}, sha binary, n int, pos int, digest binary" + (", block binary" if whole else "")
-    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInArrow(run, schema)
+    schema = f"row bigint, k {kind}, sha binary, n int, pos int, digest binary" + (", block binary" if whole else "")
+    return docs.select(F.monotonically_increasing_id().alias("row"), F.col(key).alias("k"), F.col(text).alias("t")).mapInArrow(run, schema)
 
 
 def _named(distinct: DataFrame, *by: str) -> DataFrame:
     """distinct rows with the integer name that their sorted place gives them; 0 is left for 'no neighbour'."""
-    return distinct.sortWithinPartitions(*by).withColumn("name", F.monotonically_increasing_id() + 1)
+    return distinct.orderBy(*by).withColumn("name", F.monotonically_increasing_id() + 1)
 
 
 def _name_blocks(docs: DataFrame, key: str, text: str, size: int) -> DataFrame:
@@ -92,31 +93,33 @@ def _name_blocks(docs: DataFrame, key: str, text: str, size: int) -> DataFrame:
 
 
 def identities(docs: DataFrame, key: str = "doc_id", text: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """(k, sha, level, name) of each distinct (key, normalised text): equal texts have equal (level, name), others not."""
+    """(row, k, sha, level, name) of each row of docs: equal normalised texts have equal (level, name), others not."""
     level, done = 0, []
     current = materialize(_name_blocks(docs, key, text, block_bytes), "names")
     while True:
-        done.append(current.filter("n = 1").select("k", "sha", F.lit(level).alias("level"), "name"))
+        done.append(current.filter("n = 1").select("row", "k", "sha", F.lit(level).alias("level"), "name"))
         rest = current.filter("n > 1")
         if rest.isEmpty():
             break
         level += 1
         half = F.shiftright("pos", 1)
         left, right = (F.max(F.when(F.col("pos") % 2 == i, F.col("name"))) for i in (0, 1))
-        pairs = rest.groupBy("k", "sha", "n", half.alias("pos")).agg(left.alias("l"), F.coalesce(right, F.lit(0)).alias("r"))
+        pairs = rest.groupBy("row", "k", "sha", "n", half.alias("pos")).agg(left.alias("l"), F.coalesce(right, F.lit(0)).alias("r"))
         pairs = materialize(pairs.withColumn("n", F.shiftright(F.col("n") + 1, 1)), "pairs")
         names = materialize(_named(pairs.groupBy("l", "r").agg(F.lit(1).alias("one")), "l", "r").drop("one"), "pair-names")
         current = materialize(pairs.join(names, ["l", "r"]).drop("l", "r"), "names")
-    return reduce(DataFrame.unionByName, done).groupBy("k", "sha", "level", "name").agg(F.lit(1).alias("one")).drop("one")
+    return reduce(DataFrame.unionByName, done)
 
 
 def exact_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """(key, keep_id, group_size, kept, text_sha256), one row for each document, dropped ones too.
+    """(key, keep_id, group_size, kept, text_sha256), one row for each row of docs, dropped ones too.
 
     Null text is empty. Of equal texts the smallest key stays; null keys come after all others and stay only among
-    themselves. Rows that repeat key and normalised text are one document. An empty table gives an empty result.
+    themselves. Rows that repeat a key are documents of their own, and group_size counts them all; where several rows
+    of a group have its smallest key, kept is true for each (drop_exact_copies leaves one). An empty table gives an
+    empty result.
     """
-    names = materialize(identities(docs, key, text, block_bytes), "identities")
+    names = identities(docs, key, text, block_bytes)
     # written before the join, whose sides are then both plain shuffles that adaptive execution can split where a group is hot
     groups = materialize(names.groupBy("level", "name").agg(F.min("k").alias("keep_id"), F.count("*").alias("group_size")), "groups")
     return names.join(groups, ["level", "name"]).select(
@@ -125,20 +128,23 @@ def exact_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", block
 
 
 def drop_exact_copies(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """The rows of docs that stay, with their own columns; of rows that repeat key and text one stays."""
-    stay = exact_groups(docs, key, text).filter("kept").select(F.col(key).alias("__k"), F.unhex("text_sha256").alias("__s"))
-    
+    """The rows of docs that stay, with their own columns: one of each group of equal texts.
+
+    The copies, mostly few, are joined away by key and text; texts move only where the list of copies is too long to
+    broadcast, or where rows repeat key and text, of which one stays.
+    """
+    groups = materialize(exact_groups(docs, key, text).select(F.col(key).alias("__k"), F.unhex("text_sha256").alias("__s"), "kept"), "exact-groups")
+    gone = materialize(groups.filter("NOT kept").select("__k", "__s").distinct(), "exact-copies")
+    same = materialize(groups.filter("kept").groupBy("__k", "__s").agg(F.count("*").alias("times")).filter("times > 1").select("__k", "__s"), "repeated-rows")
+
     @F.arrow_udf(T.BinaryType())
     def sha_of(texts: pa.Array) -> pa.Array:
         return pa.array([hashlib.sha256(normalised(t)).digest() for t in _bytes_of(texts)], pa.binary())
 
     marked = docs.withColumn("__sha", sha_of(F.col(text)))
-    left = marked.join(stay, marked[key].eqNullSafe(stay["__k"]) & (marked["__sha"] == stay["__s"]), "left_semi")
-    once = F.row_number().over(_one(key))
-    return left.withColumn("__n", once).filter("__n = 1").drop("__n", "__sha")
-
-
-def _one(key: str):
-    from pyspark.sql import Window
-
-    return Window.partitionBy(key, "__sha").orderBy(F.lit(1))
+    on = lambda t: marked[key].eqNullSafe(t["__k"]) & (marked["__sha"] == t["__s"])
+    stay = marked.join(gone, on(gone), "left_anti")
+    if same.isEmpty():
+        return stay.drop("__sha")
+    once = stay.join(same, on(same), "left_semi").dropDuplicates([key, "__sha"])
+    return stay.join(same, on(same), "left_anti").unionByName(once).drop("__sha")

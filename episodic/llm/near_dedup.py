@@ -93,7 +93,14 @@ def slot_values(shingles: np.ndarray, probes: np.ndarray) -> np.ndarray:
     return mix(out)
 
 
+def _print(shingles: np.ndarray) -> bytes:
+    """What a set of shingles is known by."""
+    return hashlib.blake2b(shingles.tobytes(), digest_size=16).digest()
+
+
 def _sketches(k: int, rows: int):
+    """(id, h, g, n, print, bands, slots) of batches of (id, h, g, text)."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         probes = _probe_table()
         bands = SLOTS // rows
@@ -101,18 +108,19 @@ def _sketches(k: int, rows: int):
         fold = _SALTS[:rows]
         for b in batches:
             n, prints, keys, slots = [], [], [], []
-            for s in shingle_sets(b.column(1), k):
+            for s in shingle_sets(b.column(3), k):
                 n.append(len(s))
                 if len(s):
                     v = slot_values(s, probes)
-                    prints.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
+                    prints.append(_print(s))
                     keys.append(mix((v[: bands * rows].reshape(bands, rows) * fold).sum(1) + number * np.uint64(0x9E3779B97F4A7C15)).view(np.int64))
                     slots.append(v.astype(np.uint32).tobytes())
                 else:
                     prints.append(None)
                     keys.append(np.zeros(0, np.int64))
                     slots.append(None)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(prints, pa.binary()), _lists(keys), pa.array(slots, pa.binary())], ["id", "n", "print", "bands", "slots"])
+            cols = [*b.columns[:3], pa.array(n, pa.int64()), pa.array(prints, pa.binary()), _lists(keys), pa.array(slots, pa.binary())]
+            yield pa.RecordBatch.from_arrays(cols, ["id", "h", "g", "n", "print", "bands", "slots"])
 
     return run
 
@@ -122,25 +130,33 @@ def _lists(xs: list[np.ndarray]) -> pa.ListArray:
 
 
 def _sets(k: int):
+    """(node, shingles) of batches of (node, print, text); a text that its node's print is not of is left out."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), _lists([s.view(np.int64) for s in shingle_sets(b.column(1), k)])], ["id", "shingles"])
+            sets = list(shingle_sets(b.column(2), k))
+            own = [i for i, (s, p) in enumerate(zip(sets, b.column(1).to_pylist(), strict=True)) if _print(s) == p]
+            yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(own, pa.int64())), _lists([sets[i].view(np.int64) for i in own])], ["id", "shingles"])
 
     return run
 
 
-def _full_sets(ids: DataFrame, texts: DataFrame, words: int) -> DataFrame:
-    """(id, shingles) of the documents in ids (column c): full sets are several times as large as the texts, so they are
-    made for candidates only. The list of ids is broadcast while it has BROADCAST_IDS entries at most, else joined by shuffle."""
-    ids = materialize(ids.distinct(), "candidates")
-    few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
-    own = texts.join(F.broadcast(ids) if few else ids, texts["id"] == ids["c"], "left_semi")
-    return materialize(own.mapInArrow(_sets(words), "id bigint, shingles array<bigint>"), "shingle-sets")
+def _full_sets(nodes: DataFrame, classes: DataFrame, texts: DataFrame, words: int) -> DataFrame:
+    """(id, shingles) of the nodes in column c: full sets are several times as large as the texts, so they are made for
+    candidates only. A node's text is found by the key and hash of its first row, and told from others by the print of
+    its set. The list of nodes is broadcast while it has BROADCAST_IDS entries at most, else joined by shuffle."""
+    own = classes.select(F.col("node").alias("c"), F.col("id").alias("k0"), F.col("h").alias("h0"), "print")
+    wanted = materialize(nodes.distinct().join(own, "c"), "candidates")
+    n = wanted.count()
+    met = texts.join(F.broadcast(wanted) if n <= BROADCAST_IDS else wanted, (texts["id"] == wanted["k0"]) & (texts["h"] == wanted["h0"]))
+    sets = materialize(met.select("c", "print", "t").mapInArrow(_sets(words), "id bigint, shingles array<bigint>"), "shingle-sets")
+    # rows that repeat key and text give a node's set more than once
+    return sets if sets.count() == n else materialize(sets.dropDuplicates(["id"]), "shingle-sets")
 
 
-def _confirmed(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
+def _confirmed(pairs: DataFrame, classes: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose full sets are similar enough, in exact integer arithmetic."""
-    sets = _full_sets(pairs.select(F.explode(F.array("a", "b")).alias("c")), texts, words)
+    sets = _full_sets(pairs.select(F.explode(F.array("a", "b")).alias("c")), classes, texts, words)
     left = sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa"))
     right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb"))
     both = F.size(F.array_intersect("sa", "sb"))
@@ -216,20 +232,22 @@ def _linked(percent: int, columns: int = 1 << 14):
     return kernel
 
 
-def near_groups(docs: DataFrame, words: int = 3, percent: int = 85, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, n_shingles, component_id, kept), one row for each row of docs.
+def _judged(docs: DataFrame, words: int, percent: int, key: str, text: str) -> tuple[DataFrame, DataFrame]:
+    """Rows (id, h, g, n, print) of docs, and of each print its component's first row as c0 (id, h, g).
 
-    Documents with 100 * |intersection| >= percent * |union| are linked; component_id is the smallest key reachable.
-    Null and empty texts and texts without words have an empty set and link with nothing. A null key links with
-    nothing and has a null component. Rows that repeat a key are one node. Empty tables give an empty result.
+    Every row has an identity of its own. Rows of one and the same set are a class, which is a node of the graph and
+    has the number of its first row; so a key that several texts share names several nodes.
     """
     rows = band_rows(percent)
-    slim = docs.select(F.col(key).cast("bigint").alias("id"), F.col(text).alias("t"))
-    sketched = materialize(slim.mapInArrow(_sketches(words, rows), "id bigint, n bigint, print binary, bands array<bigint>, slots binary"), "sketches")
+    body = F.coalesce(F.col(text), F.lit(""))
+    slim = docs.select(F.col(key).cast("bigint").alias("id"), F.xxhash64(body).alias("h"), F.xxhash64(F.lit(1), body).alias("g"), F.col(text).alias("t"))
+    made = slim.mapInArrow(_sketches(words, rows), "id bigint, h bigint, g bigint, n bigint, print binary, bands array<bigint>, slots binary")
+    sketched = materialize(made.withColumn("row", F.monotonically_increasing_id()), "sketches")
     valid = sketched.filter("n > 0 AND id IS NOT NULL")
-    classes = materialize(valid.groupBy("print").agg(F.min("id").alias("rep")), "set-classes")
-    reps = valid.select("id", "n", "print", "bands").join(classes.select("print", F.col("rep").alias("id")), ["print", "id"], "left_semi")
-    buckets = materialize(reps.select("id", "n", F.posexplode("bands").alias("band", "bucket")), "buckets")
+    first = valid.groupBy("print").agg(F.min(F.struct("id", "h", "g", "row")).alias("f"))
+    classes = materialize(first.select("print", "f.id", "f.h", "f.g", F.col("f.row").alias("node")), "set-classes")
+    own = valid.join(classes.select(F.col("node").alias("row")), "row", "left_semi").withColumn("id", F.col("row"))
+    buckets = materialize(own.select("id", "n", F.posexplode("bands").alias("band", "bucket")), "buckets")
     node = F.struct("id", "n")
     drawn = F.struct(F.xxhash64("id", "bucket").alias("h"), "id", "n")
     centres = buckets.groupBy("bucket").agg(F.count("*").alias("members"), F.min(node).alias("c1"), F.min(drawn).alias("c2")).filter("members > 1")
@@ -238,31 +256,60 @@ def near_groups(docs: DataFrame, words: int = 3, percent: int = 85, key: str = "
     sized = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * percent
     pairs = star.filter((F.col("id") != F.col("c.id")) & sized(F.col("n"), F.col("c.n"))).select(F.least("id", "c.id").alias("a"), F.greatest("id", "c.id").alias("b"))
     pairs = materialize(pairs.distinct(), "star-pairs")
-    links = materialize(_confirmed(pairs, slim, words, percent), "links")
-    first = materialize(connected_components(links), "components")
+    links = materialize(_confirmed(pairs, classes, slim, words, percent), "links")
+    found = materialize(connected_components(links), "components")
 
     # buckets that the stars leave in several components: every pair of two or three members was in a star already
     open_ = centres.filter((F.col("members") > 3) | ((F.col("members") == 3) & (F.col("c1.id") == F.col("c2.id")))).select("bucket")
-    placed = buckets.join(open_, "bucket").join(first, F.col("id") == F.col("node"), "left").select("bucket", "band", "id", "n", F.coalesce("component", "id").alias("component"))
+    placed = buckets.join(open_, "bucket").join(found, F.col("id") == F.col("node"), "left").select("bucket", "band", "id", "n", F.coalesce("component", "id").alias("component"))
     placed = materialize(placed, "open-members")
     mixed = materialize(placed.groupBy("bucket").agg(F.count("*").alias("members"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("bucket", "members"), "open-buckets")
-    rest = placed.join(mixed, "bucket").join(valid.select("id", "slots").dropDuplicates(["id"]), "id")
+    rest = placed.join(mixed, "bucket").join(own.select("id", "slots"), "id")
     tiled = over_runs(in_tiles(rest, "bucket", "members", "id", TILE), ["bucket", "i", "j"], _plausible(rows, percent), "bucket bigint, i int, j int, own int, id bigint, component bigint")
     tiled = materialize(tiled, "plausible")
-    full = tiled.join(_full_sets(tiled.select(F.col("id").alias("c")), slim, words).dropDuplicates(["id"]), "id")
+    full = tiled.join(_full_sets(tiled.select(F.col("id").alias("c")), classes, slim, words), "id")
     full = full.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j", "own", "id")
     more = materialize(over_runs(full, ["bucket", "i", "j"], _linked(percent), "a bigint, b bigint"), "links")
-    final = materialize(connected_components(links.unionByName(more)), "components")
+    final = materialize(connected_components(links.unionByName(more)), "components").withColumnRenamed("node", "v")
+
+    placed = classes.join(final, classes["node"] == final["v"], "left").select("print", "id", "h", "g", F.coalesce("component", "node").alias("component"))
+    placed = materialize(placed, "class-components")
+    heads = materialize(placed.groupBy("component").agg(F.min(F.struct("id", "h", "g")).alias("c0")), "component-heads")
+    return sketched.select("id", "h", "g", "n", "print"), placed.select("print", "component").join(heads, "component").select("print", "c0")
 
-    named = valid.select("id", "print").join(classes, "print").select("id", "rep").distinct()
-    labels = named.join(final, named["rep"] == final["node"], "left").select(F.col("id").alias("k"), F.coalesce("component", "rep").alias("component"))
-    base = sketched.select("id", "n")
-    return base.join(labels, base["id"] == labels["k"], "left").select(
-        base["id"].alias(key), base["n"].alias("n_shingles"), F.coalesce("component", base["id"]).alias("component_id")
-    ).withColumn("kept", F.col(key).eqNullSafe(F.col("component_id")))
+
+def near_groups(docs: DataFrame, words: int = 3, percent: int = 85, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, n_shingles, component_id, kept), one row for each row of docs.
+
+    Documents with 100 * |intersection| >= percent * |union| are linked; component_id is the smallest key reachable.
+    Null and empty texts and texts without words have an empty set and link with nothing. A null key links with
+    nothing and has a null component. Rows that repeat a key are documents of their own: they are in one component only
+    if their texts are linked. Empty tables give an empty result.
+    """
+    rows, heads = _judged(docs, words, percent, key, text)
+    met = (F.col("n") > 0) & F.col("id").isNotNull()
+    linked = rows.filter(met).join(heads, "print").select("id", "n", F.col("c0.id").alias("component_id"))
+    alone = rows.filter(~met).select("id", "n", F.col("id").alias("component_id"))
+    out = linked.unionByName(alone).select(F.col("id").alias(key), F.col("n").alias("n_shingles"), "component_id")
+    return out.withColumn("kept", F.col(key).eqNullSafe(F.col("component_id")))
 
 
 def drop_near_copies(docs: DataFrame, words: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """The rows of docs that stay, with their own columns: one document of each group; null keys all stay."""
-    go = near_groups(docs, words, percent, key, text).filter(~F.col("kept")).select(F.col(key).alias("__k")).distinct()
-    return docs.join(go, docs[key] == go["__k"], "left_anti")
+    """The rows of docs that stay, with their own columns: one row of each component, the one with the smallest key.
+
+    Rows with a null key or an empty set all stay. Rows are told apart by key and text, so a key that several texts
+    share loses only those that are copies; of rows that repeat both, one stays.
+    """
+    rows, heads = _judged(docs, words, percent, key, text)
+    valid = rows.filter("n > 0 AND id IS NOT NULL").join(heads, "print")
+    gone = valid.filter(F.struct("id", "h", "g") != F.col("c0")).select(F.col("id").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g")).distinct()
+    gone = materialize(gone, "near-copies")
+    same = valid.filter(F.struct("id", "h", "g") == F.col("c0")).groupBy("id", "h", "g").agg(F.count("*").alias("times")).filter("times > 1")
+    same = materialize(same.select(F.col("id").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g")), "repeated-rows")
+    body = F.coalesce(docs[text], F.lit(""))
+    on = lambda t: (docs[key].cast("bigint") == t["__k"]) & (F.xxhash64(body) == t["__h"]) & (F.xxhash64(F.lit(1), body) == t["__g"])
+    stay = docs.join(gone, on(gone), "left_anti")
+    if same.isEmpty():
+        return stay
+    once = docs.join(same, on(same), "left_semi").withColumn("__h", F.xxhash64(body)).dropDuplicates([key, "__h"]).drop("__h")
+    return stay.join(same, on(same), "left_anti").unionByName(once)

@@ -8,7 +8,8 @@ weak ones are added only where their value is owner-specific and mixes letters a
 rows are shuffled, never a text; the counts are hash aggregates with map-side combining, so a value that a third of
 all rows hold is one row a task.
 
-Null and empty texts have no spans. A null owner counts as one owner of its own. Repeated rows count as one document.
+Null and empty texts have no spans. A null owner is an owner of its own. Rows are scanned and judged each for itself,
+whatever keys they have, null or repeated; rows that repeat key and text count as one document.
 """
 
 from __future__ import annotations
@@ -57,44 +58,56 @@ def _scan_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     span = pa.struct([("start", pa.int32()), ("end", pa.int32()), ("kind", pa.int32()), ("value", pa.int64())])
     for b in batches:
         rows, digests = [], []
-        for text in b.column(2):
+        for text in b.column(4):
             found = scan(text.as_py() or "")
             rows.append([{"start": s, "end": e, "kind": k, "value": xxhash.xxh3_64_intdigest(v) - (1 << 63)} for s, e, k, v in found])
             digests.append(hashlib.sha256(",".join(f"{KINDS[k]}:{s}:{e}" for s, e, k, _ in found if k < 3).encode()).hexdigest())
-        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(digests), pa.array(rows, pa.list_(span))], ["k", "owner", "base_sha256", "found"])
+        yield pa.RecordBatch.from_arrays([*b.columns[:4], pa.array(digests), pa.array(rows, pa.list_(span))], ["k", "owner", "h", "g", "base_sha256", "found"])
+
+
+def _text_hashes(text):
+    """Two hashes that tell the texts of one key apart."""
+    body = F.coalesce(text, F.lit(""))
+    return F.xxhash64(body), F.xxhash64(F.lit(1), body)
 
 
 def candidates(docs: DataFrame, key: str = "doc_id", text: str = "text", owner: str = "source") -> DataFrame:
-    """(k, owner, base_sha256, found) of each row; found lists all candidates with the hash of the value."""
+    """(row, k, owner, h, g, base_sha256, found) of each row; found lists all candidates with the hash of the value.
+
+    row numbers the rows and h, g are hashes of the text: row is stable only once the table is written.
+    """
     kind = docs.schema[key].dataType.simpleString()
-    plan = docs.select(F.col(key).alias("k"), F.col(owner).cast("string").alias("owner"), F.col(text).alias("t"))
-    return plan.mapInArrow(_scan_batches, f"k {kind}, owner string, base_sha256 string, found array<struct<start:int,end:int,kind:int,value:bigint>>")
+    h, g = _text_hashes(F.col(text))
+    plan = docs.select(F.col(key).alias("k"), F.col(owner).cast("string").alias("owner"), h.alias("h"), g.alias("g"), F.col(text).alias("t"))
+    found = plan.mapInArrow(_scan_batches, f"k {kind}, owner string, h bigint, g bigint, base_sha256 string, found array<struct<start:int,end:int,kind:int,value:bigint>>")
+    return found.withColumn("row", F.monotonically_increasing_id())
 
 
 def ownership(found: DataFrame) -> DataFrame:
     """(value, n_docs, n_owners): in how many documents and with how many owners each candidate value occurs."""
-    each = found.select("k", F.coalesce("owner", F.lit("")).alias("owner"), F.explode("found.value").alias("value"))
-    docs = each.groupBy("value", "owner", "k").agg(F.lit(1).alias("one"))
+    each = found.select("k", "h", "owner", F.explode("found.value").alias("value"))
+    docs = each.groupBy("value", "owner", "k", "h").agg(F.lit(1).alias("one"))
     return docs.groupBy("value", "owner").agg(F.count("*").alias("n")).groupBy("value").agg(F.sum("n").alias("n_docs"), F.count("*").alias("n_owners"))
 
 
-def scan_secrets(docs: DataFrame, key: str = "doc_id", text: str = "text", owner: str = "source", common_owners: int = COMMON_OWNERS) -> DataFrame:
-    """One row for each row of docs: key, base_sha256, spans_list (start, end, kind, n_docs, n_owners, live) sorted by start and kind."""
+def _scanned(docs: DataFrame, key: str, text: str, owner: str, common_owners: int) -> DataFrame:
+    """One row for each row of docs: k, h, g, base_sha256, spans_list."""
     found = materialize(candidates(docs, key, text, owner), "secret-candidates")
     held = materialize(ownership(found), "ownership")
-    each = found.filter(F.size("found") > 0).select("k", "base_sha256", F.explode("found").alias("c")).distinct()
-    judged = each.join(held, each["c.value"] == held["value"]).select(
-        "k", "base_sha256", "c", "n_docs", "n_owners", (F.col("n_owners") <= common_owners).alias("live")
-    )
+    each = found.filter(F.size("found") > 0).select("row", F.explode("found").alias("c"))
+    judged = each.join(held, each["c.value"] == held["value"]).select("row", "c", "n_docs", "n_owners", (F.col("n_owners") <= common_owners).alias("live"))
     kept = judged.filter((F.col("c.kind") < 3) | F.col("live"))
-    lists = kept.groupBy("k", "base_sha256").agg(
-        F.array_sort(F.collect_list(F.struct(F.col("c.start").alias("start"), F.col("c.kind").alias("kind"), F.col("c.end").alias("end"), "n_docs", "n_owners", "live"))).alias("spans_list")
-    )
-    base = found.select(F.col("k").alias("k0"), F.col("base_sha256").alias("b0"))
-    empty = F.array().cast(lists.schema["spans_list"].dataType)
-    return base.join(lists, base["k0"].eqNullSafe(lists["k"]) & (base["b0"] == lists["base_sha256"]), "left").select(
-        F.col("k0").alias(key), F.col("b0").alias("base_sha256"), F.coalesce("spans_list", empty).alias("spans_list")
-    )
+    span = F.struct(F.col("c.start").alias("start"), F.col("c.kind").alias("kind"), F.col("c.end").alias("end"), "n_docs", "n_owners", "live")
+    lists = kept.groupBy("row").agg(F.array_sort(F.collect_list(span)).alias("spans_list"))
+    none = F.array().cast(lists.schema["spans_list"].dataType)
+    with_any = found.filter(F.size("found") > 0).join(lists, "row", "left")  # rows without a candidate need no join
+    columns = ["k", "h", "g", "base_sha256", F.coalesce("spans_list", none).alias("spans_list")]
+    return with_any.select(*columns).unionByName(found.filter(F.size("found") == 0).select("k", "h", "g", "base_sha256", none.alias("spans_list")))
+
+
+def scan_secrets(docs: DataFrame, key: str = "doc_id", text: str = "text", owner: str = "source", common_owners: int = COMMON_OWNERS) -> DataFrame:
+    """One row for each row of docs: key, base_sha256, spans_list (start, end, kind, n_docs, n_owners, live) sorted by start and kind."""
+    return _scanned(docs, key, text, owner, common_owners).select(F.col("k").alias(key), "base_sha256", "spans_list")
 
 
 def digest_columns(scanned: DataFrame, key: str = "doc_id") -> DataFrame:
@@ -109,11 +122,17 @@ def digest_columns(scanned: DataFrame, key: str = "doc_id") -> DataFrame:
 
 
 def redact_live(docs: DataFrame, mark: str = "[REDACTED]", key: str = "doc_id", text: str = "text", owner: str = "source") -> DataFrame:
-    """docs with every owner-specific span replaced by mark; widely copied examples stay; same columns, same rows."""
-    spans = scan_secrets(docs, key, text, owner)
-    live = spans.select(F.col(key).alias("__k"), F.filter("spans_list", lambda s: s["live"]).alias("__live")).filter(F.size("__live") > 0).dropDuplicates(["__k"])
-    joined = docs.join(live, docs[key].eqNullSafe(live["__k"]), "left")
-    return joined.withColumn(text, F.when(F.col("__live").isNull(), F.col(text)).otherwise(_cut(text, mark))).drop("__k", "__live")
+    """docs with every owner-specific span replaced by mark; widely copied examples stay; same columns, same rows.
+
+    Spans find their rows by key and text, so each row loses its own spans only, whatever keys repeat or are null.
+    """
+    spans = _scanned(docs, key, text, owner, COMMON_OWNERS)
+    live = spans.select(F.col("k").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g"), F.filter("spans_list", lambda s: s["live"]).alias("__live"))
+    live = materialize(live.filter(F.size("__live") > 0).dropDuplicates(["__k", "__h", "__g"]), "live-spans")
+    h, g = _text_hashes(docs[text])
+    joined = docs.join(live, docs[key].eqNullSafe(live["__k"]) & (h == live["__h"]) & (g == live["__g"]), "left")
+    cut = F.when(F.col("__live").isNull(), docs[text]).otherwise(_cut(text, mark))
+    return joined.select(*[cut.alias(c) if c == text else docs[c] for c in docs.columns])
 
 
 def _cut(text: str, mark: str):
