@@ -1,7 +1,7 @@
 """Packing in space-filling-curve order.
 
-A document's token counts, hashed to signed coordinates, are a point in DIMS dimensions; the point's place on a Hilbert
-curve is its key. Documents are range-sorted by key, so that neighbours on the curve, which use like words, follow one
+A document's token counts, hashed to BUCKETS and divided by their length, project to a point in DIMS dimensions; the
+point's place on a Hilbert curve is its key. Documents are range-sorted by key, so that neighbours on the curve, which use like words, follow one
 another, and the sorted stream of ids is cut into sequences. Documents may be cut, so only the end of the whole corpus
 leaves a rest, which is cut into powers of two: nothing is padded.
 
@@ -24,7 +24,7 @@ from pyspark.sql import types as T
 
 from .runtime import materialize
 
-DIMS, BITS = 4, 8
+DIMS, BITS, BUCKETS = 4, 8, 1024
 #: Documents and tokens of a range aimed at, and ranges at most: bounds of what the driver holds.
 RANGE_TOKENS, MOST_RANGES = 8_000_000, 16_384
 #: Texts longer than this are encoded by the library that reads the .json itself.
@@ -72,8 +72,7 @@ class Encoder:
             table = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(ranks, "rb"))}
             self.fast = tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=table, special_tokens=special)
             self.special = set(special)
-        n = self.plain.get_vocab_size() + 2
-        self.axes = np.random.default_rng(71).standard_normal((n, DIMS)).astype(np.float32)
+        self.axes = np.random.default_rng(71).standard_normal((BUCKETS, DIMS))
 
     def encode(self, text: str) -> np.ndarray:
         if self.fast is not None and len(text) <= LONG_TEXT:
@@ -81,13 +80,12 @@ class Encoder:
         return np.array(self.plain.encode(text, add_special_tokens=False).ids, np.uint32)
 
     def point(self, ids: np.ndarray) -> np.ndarray:
-        """Coordinates of the document's normed token vector, squeezed to 2 ** BITS steps each."""
+        """Coordinates of the document's unit vector of hashed token counts, squeezed to 2 ** BITS steps each."""
         if not len(ids):
             return np.zeros(DIMS, np.int64)
-        sums = np.zeros(DIMS)
-        for i in range(0, len(ids), 1 << 16):
-            sums += self.axes[ids[i : i + (1 << 16)]].sum(0)
-        spread = np.tanh(sums / np.sqrt(len(ids)) / 8)
+        bucket = (ids * np.uint32(2654435761)) >> np.uint32(32 - BUCKETS.bit_length() + 1)
+        counts = np.bincount(bucket, minlength=BUCKETS).astype(np.float64)
+        spread = np.tanh(counts @ self.axes / np.sqrt(counts @ counts))
         return np.minimum(((spread + 1) * (1 << (BITS - 1))).astype(np.int64), (1 << BITS) - 1)
 
 
@@ -181,7 +179,7 @@ def pack(docs: DataFrame, vocabulary: str, ranks: str | None = None, pattern: st
     total, rows = stored.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     ranges = int(min(MOST_RANGES, max(1, total // RANGE_TOKENS, min(rows // 500, 32))))
     quantiles = [i / ranges for i in range(1, ranges)]
-    cuts = np.unique(np.array(stored.agg(F.percentile_approx("place", quantiles, 20_000)).first()[0] or [], np.int64)) if quantiles and rows else np.zeros(0, np.int64)
+    cuts = np.unique(np.array(stored.agg(F.percentile_approx("place", quantiles, max(20_000, 10 * ranges))).first()[0] or [], np.int64)) if quantiles and rows else np.zeros(0, np.int64)
 
     @F.pandas_udf(T.LongType())
     def part_of(places):
@@ -195,6 +193,6 @@ def pack(docs: DataFrame, vocabulary: str, ranks: str | None = None, pattern: st
     for p in sorted(sums):
         starts[p] = at
         at += sums[p]
-    order = ranged.repartition("part").sortWithinPartitions("part", "place", "k", "n")
+    order = ranged.repartition(ranges, "part").sortWithinPartitions("part", "place", "k", "n")
     schema = f"k {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
     return order.select("k", "part", "n", "ids").mapInArrow(_pieces(starts, total, length), schema).withColumnRenamed("k", key)

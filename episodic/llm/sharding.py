@@ -1,9 +1,11 @@
 """Sharding by sampled splitters.
 
 Keys are drawn into a sample with a chance in proportion to their size; quantiles of the sample are the splitters of
-many fine ranges, which all records then fall into. The exact bytes of each range are counted, and a range is cut
-at exact places inside it where a shard ends; an overfull range is not split further before it is sorted. The shard of a record follows from the bytes before it in key order,
-so shards differ by less than one record, whatever the sample was; the sample only decides how even the work is.
+many fine ranges, which all records then fall into. The exact rows and bytes of each range are counted; a range that
+turns out fuller than OVERFULL times what was aimed at is subdivided at quantiles of its own keys and counted again,
+until none is. Then a range is cut at exact places inside it where a shard ends. The shard of a record follows from the
+bytes before it in key order, so shards differ by less than one record, whatever the sample was; the sample only
+decides how even the work is.
 
 The key is a hash of the text followed by one of the id: equal texts lie side by side, and a text that a third of all
 rows hold is still cut where ranges need it. Only slim rows (id, size, checksum, key) move, never a text.
@@ -11,8 +13,8 @@ rows hold is still cut where ranges need it. Only slim rows (id, size, checksum,
 
 from __future__ import annotations
 
-from bisect import bisect_right
-
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -23,6 +25,8 @@ from .runtime import materialize
 SAMPLE_KEYS, RANGES_A_SHARD = 20_000, 16
 #: Rows of a range aimed at, and ranges at most: what the driver holds is bounded by these.
 RANGE_ROWS, MOST_RANGES = 200_000, 8_192
+#: A range of more than so many times the rows aimed at is subdivided, in so many rounds at most (keys may all be one).
+OVERFULL, ROUNDS = 2, 8
 
 
 def _slim(docs: DataFrame, key: str, text: str) -> DataFrame:
@@ -47,6 +51,35 @@ def splitters(slim: DataFrame, total: int, n: int, sample_keys: int = SAMPLE_KEY
     return out
 
 
+def _placed(cuts: list[int]):
+    at = np.array(cuts, np.int64)
+
+    @F.arrow_udf(T.IntegerType())
+    def place(orders: pa.Array) -> pa.Array:
+        return pa.array(np.searchsorted(at, orders.to_numpy(zero_copy_only=False), "right").astype(np.int32))
+
+    return place(F.col("order"))
+
+
+def _ranges(slim: DataFrame, cuts: list[int], aim: int) -> tuple[DataFrame, list]:
+    """slim with the range `part` of each row, and (part, b bytes, c rows) of each range, none overfull if keys differ."""
+    for left in range(ROUNDS, -1, -1):
+        ranged = materialize(slim.withColumn("part", _placed(cuts)), "shard-ranges")
+        sums = sorted(ranged.groupBy("part").agg(F.sum("size").alias("b"), F.count("*").alias("c")).collect(), key=lambda r: r["part"])
+        full = {r["part"]: -(-r["c"] // aim) for r in sums if r["c"] > OVERFULL * aim}
+        if not full or not left:
+            break
+        found = set(cuts)
+        for n in sorted(set(full.values())):
+            own = ranged.filter(F.col("part").isin([p for p, k in full.items() if k == n]))
+            for r in own.groupBy("part").agg(F.percentile_approx("order", [i / n for i in range(1, n)], 10 * n + 1_000).alias("q"), F.min("order").alias("lo")).collect():
+                found |= {q for q in r["q"] if q > r["lo"]}
+        if len(found) == len(cuts):
+            break
+        cuts = sorted(found)
+    return ranged, sums
+
+
 def shard(docs: DataFrame, shards: int = 24, key: str = "doc_id", text: str = "text", sample_keys: int = SAMPLE_KEYS) -> DataFrame:
     """(key, size, text_crc32, law, shard, slot, grown_shard), one row for each row of docs; law is always `bytes`.
 
@@ -59,12 +92,7 @@ def shard(docs: DataFrame, shards: int = 24, key: str = "doc_id", text: str = "t
     n = min(MOST_RANGES, max(shards * RANGES_A_SHARD, rows // RANGE_ROWS))
     cuts = splitters(slim, total, n, sample_keys)
 
-    @F.udf(T.IntegerType(), useArrow=True)
-    def place(v):
-        return bisect_right(cuts, v)
-
-    ranged = materialize(slim.drop("draw").withColumn("part", place("order")), "shard-ranges")
-    sums = sorted(ranged.groupBy("part").agg(F.sum("size").alias("b"), F.count("*").alias("c")).collect(), key=lambda r: r["part"])
+    ranged, sums = _ranges(slim.drop("draw"), cuts, max(RANGE_ROWS, rows // MOST_RANGES))
     starts, run = [], 0
     for r in sums:
         starts.append((r["part"], run))

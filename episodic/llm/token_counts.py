@@ -48,6 +48,7 @@ class RankMerger:
         split = next((p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split"), r"\S+")
         self.split = regex.compile(split.replace(r"\s", r"\p{White_Space}"))
         self.known: dict[str, int] = {}
+        self.newer = _newer_capitals()
 
     def prepare(self, text: str) -> str:
         if not text.isascii():
@@ -66,7 +67,7 @@ class RankMerger:
 
     def merge(self, words: list[str]) -> np.ndarray:
         """Surviving symbols of each word."""
-        raw = [w.encode("utf-8") for w in words]
+        raw = [(w if w.isascii() else w.translate(self.newer)).encode("utf-8") for w in words]
         sizes = np.array([len(b) for b in raw], np.int64)
         data = np.frombuffer(b"".join(raw), np.uint8)
         ends = np.cumsum(sizes)
@@ -124,6 +125,16 @@ def _byte_letters() -> list[str]:
     return [chr(b) if b in shown else chr(next(spare)) for b in range(256)]
 
 
+@lru_cache(1)
+def _newer_capitals() -> dict[int, str]:
+    """Capitals that the library's Unicode tables have and Python's lack, with their small letters."""
+    from tokenizers import normalizers
+
+    unknown = [chr(c) for c in range(128, 0x20000) if unicodedata.category(chr(c)) == "Cn"]
+    small = normalizers.Lowercase().normalize_str("\n".join(unknown)).split("\n")
+    return {ord(c): s for c, s in zip(unknown, small, strict=True) if c != s}
+
+
 @lru_cache(1)
 def _merger(path: str) -> RankMerger:
     return RankMerger(path)

@@ -6,8 +6,9 @@ finds every maximal scoring segment of a text. A segment's score becomes an expe
 (decay from the clean score distribution, scale from clean documents), and the significant segments of a document add
 up to one evidence value, which a one-variable logistic curve turns into a score.
 
-The lexicon and the two calibrations are learned from a bounded sample of labelled rows (SAMPLE of each class, by
-hash); the lexicon has a bounded number of entries. Scoring is one pass over whole texts without any shuffle.
+The lexicon is learned from a bounded sample of labelled rows (SAMPLE of each class, by hash) and has a bounded number
+of entries. The two calibrations are fitted on rows that the lexicon did not see: the sample is cut in two, and each
+half is scored by the lexicon of the other. Scoring is one pass over whole texts without any shuffle.
 """
 
 from __future__ import annotations
@@ -25,9 +26,11 @@ from .wordhash import LETTERS, spans, text_chunks, word_hashes
 
 #: Labelled rows of each class to learn from, features of the lexicon, how sure a feature's log-odds must be, and how
 #: large: common words whose odds differ a little are neutral, or a text that repeats one would gather them.
-SAMPLE, LEXICON, SURE, LEAST_ODDS = 4_000, 20_000, 3.3, 3.5
+SAMPLE, LEXICON, SURE, LEAST_ODDS = 4_000, 20_000, 3.3, 3.0
 #: Bytes of the prefixes that unknown words back off to, weight of the prior in documents, and cost of a neutral word.
-PREFIXES, PRIOR, NEUTRAL = (4, 5), 4.0, 0.15
+PREFIXES, PRIOR, NEUTRAL = (5, 6, 7), 4.0, 0.15
+#: Evidence beyond this says no more: one passage of forty nats is as sure as many.
+MOST_EVIDENCE = 40.0
 _TABLE = 1 << 20
 
 
@@ -97,73 +100,95 @@ def maximal_segments(places: np.ndarray, scores: np.ndarray, neutral: float = NE
 
 
 def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(feature, toxic documents, clean documents) of each batch; a document counts once for a feature."""
+    """(feature, half, toxic documents, clean documents) of each batch; a document counts once for a feature."""
     for b in batches:
-        label = b.column(1).to_numpy()
-        got: dict[int, list[np.ndarray]] = {0: [], 1: []}
+        group = b.column(1).to_numpy() * 2 + b.column(2).to_numpy()  # label and half
+        got: dict[int, list[np.ndarray]] = {g: [] for g in range(4)}
         for first, last, data, off in text_chunks(b.column(0)):
             starts, ends, at = spans(data, off, LETTERS)
             word, heads = word_hashes(data, starts, ends, PREFIXES)
             for r in range(last - first):
                 w = slice(at[r], at[r + 1])
                 own = np.unique(np.concatenate([word[w], *(h[w] for h in heads.values())]))
-                got[int(label[first + r])].append(own[own != 0])
-        every = np.concatenate([*got[0], *got[1], np.zeros(0, np.uint64)])
-        y = np.repeat([0, 1], [sum(map(len, got[0])), sum(map(len, got[1]))])
-        keys, inv = np.unique(every, return_inverse=True)
-        toxic = np.bincount(inv, y, len(keys)).astype(np.int64)
-        both = np.bincount(inv, minlength=len(keys))
-        yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(toxic), pa.array(both - toxic)], ["f", "y1", "y0"])
+                got[int(group[first + r])].append(own[own != 0])
+        for half in (0, 1):
+            every = np.concatenate([*got[half], *got[2 + half], np.zeros(0, np.uint64)])
+            y = np.repeat([0, 1], [sum(map(len, got[half])), sum(map(len, got[2 + half]))])
+            keys, inv = np.unique(every, return_inverse=True)
+            toxic = np.bincount(inv, y, len(keys)).astype(np.int64)
+            both = np.bincount(inv, minlength=len(keys))
+            yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(np.full(len(keys), half), pa.int32()), pa.array(toxic), pa.array(both - toxic)], ["f", "half", "y1", "y0"])
 
 
 def _sample(docs: DataFrame, labels: DataFrame, key: str, text: str, label: str, most: int) -> DataFrame:
-    """At most `most` labelled documents of each class, those with the smallest hashes; both tables are read once."""
+    """At most `most` labelled documents of each class, those with the smallest hashes, each in one half; both tables are read once."""
     own = labels.filter(F.col(label).isin(0, 1) & F.col(key).isNotNull()).select(F.col(key).alias("k"), F.col(label).cast("int").alias("y"), F.xxhash64(key).alias("h"))
     drawn = [own.filter(F.col("y") == y).orderBy("h", "k").limit(most) for y in (0, 1)]
-    chosen = F.broadcast(drawn[0].unionByName(drawn[1]).select("k", "y"))  # 2 * most rows at most
-    return docs.join(chosen, docs[key] == chosen["k"]).select(F.coalesce(F.col(text), F.lit("")).alias("t"), "y")
+    half = F.pmod(F.shiftright("h", 7), F.lit(2)).cast("int")
+    chosen = F.broadcast(drawn[0].unionByName(drawn[1]).select("k", "y", half.alias("half")))  # 2 * most rows at most
+    return docs.join(chosen, docs[key] == chosen["k"]).select(F.coalesce(F.col(text), F.lit("")).alias("t"), "y", "half")
+
+
+def _lexicon(counts: DataFrame, n1: int, n0: int) -> Lexicon:
+    """The surest features by log-odds with a Dirichlet prior, from (f, y1, y0); one document more or less decides none."""
+    if not n1 or not n0:
+        return Lexicon(np.zeros(0, np.uint64), np.zeros(0), np.zeros(0))
+    prior = PRIOR * (F.col("y1") + F.col("y0")) / F.lit(n1 + n0) + 0.5
+    side = lambda y, n: F.log((F.col(y) + prior) / (F.lit(n + PRIOR + 1) - F.col(y) - prior))
+    odds = side("y1", n1) - side("y0", n0)
+    sure = odds / F.sqrt(1 / (F.col("y1") + prior) + 1 / (F.col("y0") + prior))
+    top = counts.filter("y1 + y0 >= 5").select("f", odds.alias("odds"), sure.alias("sure")).filter((F.abs("sure") >= SURE) & (F.abs("odds") >= LEAST_ODDS))
+    rows = top.orderBy(F.desc(F.abs("sure")), "f").limit(LEXICON).toPandas()
+    rows = rows.assign(f=rows["f"].to_numpy(np.int64).view(np.uint64)).sort_values("f")
+    return Lexicon(rows["f"].to_numpy(np.uint64), rows["odds"].to_numpy(float), np.abs(rows["sure"].to_numpy(float)))
 
 
 def learn(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE) -> Lexicon:
-    """The lexicon and its calibrations from labelled rows; without rows of both classes an empty lexicon."""
+    """The lexicon and its calibrations from labelled rows; without rows of both classes an empty lexicon.
+
+    Rows whose label is null or neither 0 nor 1, or whose key is null, teach nothing.
+    """
     drawn = _sample(docs, labels, key, text, label, sample).persist()
+    counts = drawn.mapInArrow(_features, "f bigint, half int, y1 bigint, y0 bigint").groupBy("f", "half").agg(F.sum("y1").alias("y1"), F.sum("y0").alias("y0")).persist()
     try:
-        size = {r["y"]: r["n"] for r in drawn.groupBy("y").agg(F.count("*").alias("n")).collect()}
-        n1, n0 = size.get(1, 0), size.get(0, 0)
-        if not n1 or not n0:
-            return Lexicon(np.zeros(0, np.uint64), np.zeros(0), np.zeros(0))
-        counts = drawn.mapInArrow(_features, "f bigint, y1 bigint, y0 bigint").groupBy("f").agg(F.sum("y1").alias("y1"), F.sum("y0").alias("y0"))
-        prior = PRIOR * (F.col("y1") + F.col("y0")) / F.lit(n1 + n0) + 0.5
-        side = lambda y, n: F.log((F.col(y) + prior) / (F.lit(n + PRIOR + 1) - F.col(y) - prior))
-        odds = side("y1", n1) - side("y0", n0)
-        sure = odds / F.sqrt(1 / (F.col("y1") + prior) + 1 / (F.col("y0") + prior))
-        top = counts.filter("y1 + y0 >= 5").select("f", odds.alias("odds"), sure.alias("sure")).filter((F.abs("sure") >= SURE) & (F.abs("odds") >= LEAST_ODDS))
-        rows = top.orderBy(F.desc(F.abs("sure")), "f").limit(LEXICON).toPandas()
-        rows = rows.assign(f=rows["f"].to_numpy(np.int64).view(np.uint64)).sort_values("f")
-        lex = Lexicon(rows["f"].to_numpy(np.uint64), rows["odds"].to_numpy(float), np.abs(rows["sure"].to_numpy(float)))
-        _calibrate(lex, drawn)
+        size = {(r["y"], r["half"]): r["n"] for r in drawn.groupBy("y", "half").agg(F.count("*").alias("n")).collect()}
+        n = [[size.get((y, half), 0) for half in (0, 1)] for y in (0, 1)]
+        lex = _lexicon(counts.groupBy("f").agg(F.sum("y1").alias("y1"), F.sum("y0").alias("y0")), sum(n[1]), sum(n[0]))
+        if not sum(n[1]) or not sum(n[0]):
+            return lex
+        halves = [_lexicon(counts.filter(F.col("half") == half), n[1][half], n[0][half]) for half in (0, 1)]
+        _calibrate(lex, halves, drawn)
         true = labels.filter(F.col(label).isin(0, 1)).groupBy(F.col(label).alias("y")).agg(F.count("*").alias("n")).collect()
-        _curve(lex, drawn, {r["y"]: r["n"] for r in true})
+        _curve(lex, halves, drawn, {r["y"]: r["n"] for r in true})
         return lex
     finally:
         drawn.unpersist()
+        counts.unpersist()
+
+
+def _unseen(halves: list[Lexicon], b: pa.RecordBatch) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """(label, words, scored places, log-odds) of each row (text, label, half), by the lexicon of the other half."""
+    for half in (0, 1):
+        own = b.filter(pa.array(b.column(2).to_numpy() == half))
+        for y, (w, p, s) in zip(own.column(1).to_pylist(), _documents(halves[1 - half], own.column(0)), strict=True):
+            yield y, w, p, s
 
 
-def _calibrate(lex: Lexicon, drawn: DataFrame) -> None:
+def _calibrate(lex: Lexicon, halves: list[Lexicon], drawn: DataFrame) -> None:
     """Decay: the positive root of the mean of exp(decay * score) = 1 over clean words. Scale: fits clean maxima."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = list(_documents(lex, b.column(0)))
-            hits = np.concatenate([s for _, _, s in rows]) if rows else np.zeros(0)
+            rows = list(_unseen(halves, b))
+            hits = np.concatenate([s for *_, s in rows]) if rows else np.zeros(0)
             value, n = np.unique(np.round(hits, 2), return_counts=True)
-            best = [max((x[2] for x in maximal_segments(p, s)), default=0.0) for _, p, s in rows]
-            words = [w for w, _, _ in rows]
+            best = [max((x[2] for x in maximal_segments(p, s)), default=0.0) for _, _, p, s in rows]
+            words = [w for _, w, _, _ in rows]
             yield pa.RecordBatch.from_arrays(
                 [pa.array([*value, 0.0] + best, pa.float64()), pa.array([*n, sum(words) - len(hits)] + words, pa.int64()), pa.array([0] * (len(value) + 1) + [1] * len(best), pa.int32())], ["v", "n", "kind"]
             )
 
-    clean = drawn.filter("y = 0").select("t").mapInArrow(run, "v double, n bigint, kind int")
+    clean = drawn.filter("y = 0").mapInArrow(run, "v double, n bigint, kind int")
     got = clean.filter("kind = 0").groupBy("v").agg(F.sum("n").alias("n")).toPandas()  # scores rounded to hundredths: a few thousand
     v = np.where(got["v"] == 0, -NEUTRAL, got["v"]).astype(float)
     w = got["n"].to_numpy(float) / max(1.0, got["n"].sum())
@@ -177,16 +202,16 @@ def _calibrate(lex: Lexicon, drawn: DataFrame) -> None:
     lex.scale = max(1e-6, fit[0] / fit[1]) if fit[1] else 0.1
 
 
-def _curve(lex: Lexicon, drawn: DataFrame, true: dict[int, int]) -> None:
+def _curve(lex: Lexicon, halves: list[Lexicon], drawn: DataFrame, true: dict[int, int]) -> None:
     """Logistic regression of the label on the evidence, with the classes weighted as all labelled rows have them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            x = [evidence(lex, w, maximal_segments(p, s))[0] for w, p, s in _documents(lex, b.column(0))]
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.float64()), b.column(1)], ["x", "y"])
+            rows = [(evidence(lex, w, maximal_segments(p, s))[0], y) for y, w, p, s in _unseen(halves, b)]
+            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in rows], pa.float64()), pa.array([y for _, y in rows], pa.int32())], ["x", "y"])
 
     got = drawn.mapInArrow(run, "x double, y int").toPandas()  # 2 * SAMPLE rows at most
-    x, y = np.minimum(got["x"].to_numpy(float), 40.0), got["y"].to_numpy(float)
+    x, y = np.minimum(got["x"].to_numpy(float), MOST_EVIDENCE), got["y"].to_numpy(float)
     w = np.where(y == 1, true.get(1, 1) / max(1.0, y.sum()), true.get(0, 1) / max(1.0, (1 - y).sum()))
     w, a, b = w / w.mean(), 0.0, 0.0
     for _ in range(60):
@@ -243,7 +268,7 @@ def score_texts(docs: DataFrame, lex: Lexicon, key: str = "doc_id", text: str =
             scores, passages = [], []
             for words, p, s, starts, ends in _located(lex, b.column(1)):
                 x, found = evidence(lex, words, maximal_segments(p, s)) if (s > 0).any() else (0.0, [])
-                scores.append(1 / (1 + math.exp(-min(700.0, max(-700.0, lex.slope * min(x, 40.0) + lex.offset)))))
+                scores.append(1 / (1 + math.exp(-min(700.0, max(-700.0, lex.slope * min(x, MOST_EVIDENCE) + lex.offset)))))
                 passages.append([{"start": int(starts[np.searchsorted(p, a)]), "end": int(ends[np.searchsorted(p, z)]), "score": v, "expectation": e} for a, z, v, e in found])
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(scores, pa.float64()), pa.array(passages, pa.list_(item))], ["k", "score", "passages"])
 
