@@ -115,9 +115,9 @@ def chain_starts(events: dict[str, tuple[np.ndarray, np.ndarray]], nodes: tuple[
 
 def greedy(st: np.ndarray, se: np.ndarray, et: np.ndarray, ee: np.ndarray) -> list[int]:
     """Places of the intervals, in order of end, that earliest-end selection accepts."""
-    out, t, e = [], -(1 << 62), -(1 << 62)
-    for i in range(len(et)):
-        if (st[i], se[i]) > (t, e):
-            out.append(i)
-            t, e = et[i], ee[i]
+    hop = _next_free(st, se, et, ee) if len(et) else []
+    out, i = [], 0
+    while i < len(hop):
+        out.append(i)
+        i = hop[i]
     return out

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from episodic.functions.automata import MachineBank, slot_counts
 from episodic.functions.carry import chain_starts, greedy
 from episodic.functions.runs import over_runs
+from episodic.functions.store import level_store
 from episodic.model import Episode, collect_episodes
 from episodic.operators.segments import COUNTS_SQL, MOST_BROADCAST, arrays_of, needed, with_zeros
 
@@ -30,17 +31,20 @@ def _dealt(ev: DataFrame, eps: DataFrame, batch: int) -> tuple[DataFrame, dict[i
 def count_episode_parallel(ev: DataFrame, eps: DataFrame, kernel: str = "list", batch: int = 32) -> DataFrame:
     """(episode_id, support): every group of candidates scans each stream whole; parallel over candidates and streams only.
 
-    kernel: "list" (exact automaton), "slot" (relaxed), or "latest" (exact, vectorised latest starts).
+    kernel: "list" (exact automaton), "slot" (relaxed), "slot_scan" (the same, event by event, all machines of a size
+    as arrays), or "latest" (exact, vectorised latest starts). A relaxed machine keeps one time a node, the newest, so
+    its whole run is one lookup of the newest predecessor for each edge over all events at once.
     """
     rows, episodes, groups = _dealt(ev, eps, batch)
 
     def run(table: pa.Table) -> list[tuple]:
         own = {i: episodes[i] for i in groups[table.column("part")[0].as_py()]}
         stream = table.column("stream_key")[0].as_py()
-        if kernel == "latest":
+        if kernel in ("latest", "slot"):
             events, memo = arrays_of(table), {}
-            return [(i, stream, len(greedy(*chain_starts(events, e.nodes, tuple((x.low, x.high) for x in e.edges), memo)))) for i, e in own.items()]
-        if kernel == "slot":
+            low = (lambda x: x.low) if kernel == "latest" else (lambda x: 0)
+            return [(i, stream, len(greedy(*chain_starts(events, e.nodes, tuple((low(x), x.high) for x in e.edges), memo)))) for i, e in own.items()]
+        if kernel == "slot_scan":
             return [(i, stream, n) for i, n in slot_counts(own, table.column("t").to_pylist(), table.column("sym").to_pylist()).items()]
         got = MachineBank(own, kernel).run(table.column("t").to_pylist(), table.column("sym").to_pylist())
         return [(i, stream, n) for i, n in got.items()]
@@ -58,7 +62,7 @@ def multi_machine_scan(ev: DataFrame, eps: DataFrame, workers: int = 4, two_pass
     if not two_pass:
         return count_episode_parallel(ev, eps, "list", batch)
     upper = count_episode_parallel(ev, eps, "slot", batch).filter(F.col("support") >= theta).select("episode_id")
-    left = eps.join(F.broadcast(upper), "episode_id", "left_semi")
+    left = level_store(eps.join(upper, "episode_id", "left_semi"), "scan-survivors")  # counted once, read twice
     exact = count_episode_parallel(ev, left, "list", batch)
     return eps.select("episode_id").join(exact, "episode_id", "left")
 

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from episodic.functions.carry import apply_map, carry_map, chain_starts, compose
+from episodic.functions.carry import apply_map, carry_map, chain_starts, compose, greedy
 from episodic.functions.runs import fold_rows, over_runs
 from episodic.model import Episode, collect_episodes
 from episodic.operators.chains import latest_starts, shape
@@ -71,13 +71,10 @@ def needed(ev: DataFrame, episodes: dict[int, Episode]) -> DataFrame:
     return ev.filter(F.col("sym").isin(syms)) if len(syms) <= 1_000 else ev
 
 
-def segment_maps(ev: DataFrame, episodes: dict[int, Episode], width: int | None, groups: int = 1) -> DataFrame:
+def segment_maps(ev: DataFrame, episodes: dict[int, Episode], width: int, groups: int = 1) -> DataFrame:
     """(episode_id, stream_key, seg, steps): a carry map for each candidate in each segment where it can end."""
-    reaches = [e.reach for e in episodes.values()]
-    unbounded = any(r is None for r in reaches)
-    reach = 0 if unbounded else max(reaches, default=0)
-    rows = needed(ev, episodes).select("stream_key", "sym", "t", "eid")
-    rows = rows.withColumn("seg", F.lit(0).cast("bigint")) if unbounded else place(rows, width, reach)
+    reach = max((e.reach for e in episodes.values()), default=0)
+    rows = place(needed(ev, episodes).select("stream_key", "sym", "t", "eid"), width, reach)
     rows = rows.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))) if groups > 1 else rows.withColumn("part", F.lit(0))
     # sorted candidates: a group shares prefixes
     listed = sorted(((k, e.nodes, tuple((x.low, x.high) for x in e.edges)) for k, e in episodes.items()), key=lambda x: (x[1], str(x[2])))
@@ -86,7 +83,7 @@ def segment_maps(ev: DataFrame, episodes: dict[int, Episode], width: int | None,
     def kernel(table: pa.Table) -> list[tuple]:
         part, seg, stream = (table.column(c)[0].as_py() for c in ("part", "seg", "stream_key"))
         events, memo = arrays_of(table), {}
-        bound = -(1 << 62) if unbounded else seg * width
+        bound = seg * width
         out = []
         for k, nodes, edges in listed[part * share : (part + 1) * share]:
             if nodes[-1] not in events:
@@ -105,17 +102,55 @@ def _steps(flat: list[int]) -> list[tuple]:
     return [tuple(flat[i : i + 5]) for i in range(0, len(flat), 5)]
 
 
-def carry_maps(intervals: DataFrame, width: int | None) -> DataFrame:
+def carry_maps(intervals: DataFrame, width: int) -> DataFrame:
     """The same maps from a relational latest-start table (operators.chains)."""
-    seg = F.lit(0).cast("bigint") if width is None else F.floor((F.col("et") - 1) / width).cast("bigint")
 
     def kernel(table: pa.Table) -> list[tuple]:
         k, stream, s = (table.column(c)[0].as_py() for c in ("episode_id", "stream_key", "seg"))
         st, se, et, ee = (table.column(c).to_numpy() for c in ("st", "se", "et", "ee"))
-        bound = -(1 << 62) if width is None else s * width
-        return [(k, stream, s, [v for x in carry_map(st, se, et, ee, bound) for v in x])]
+        return [(k, stream, s, [v for x in carry_map(st, se, et, ee, s * width) for v in x])]
 
-    return over_runs(intervals.withColumn("seg", seg), ["episode_id", "stream_key", "seg"], ["et", "ee"], kernel, MAPS_SQL, _MAPS)
+    cut = intervals.withColumn("seg", _segment_of("et", width))
+    return over_runs(cut, ["episode_id", "stream_key", "seg"], ["et", "ee"], kernel, MAPS_SQL, _MAPS)
+
+
+def _segment_of(t: str, width: int):
+    return F.floor((F.col(t) - 1) / width).cast("bigint")
+
+
+_CHOSEN = pa.schema([("episode_id", pa.int64()), ("stream_key", pa.string()), ("rank", pa.int64()), ("st", pa.int64()), ("et", pa.int64())])
+_STATES = pa.schema([("episode_id", pa.int64()), ("stream_key", pa.string()), ("seg", pa.list_(pa.int64())), ("n", pa.list_(pa.int64())), ("t", pa.list_(pa.int64())), ("e", pa.list_(pa.int64()))])
+STATES_SQL = "episode_id bigint, stream_key string, seg array<bigint>, n array<bigint>, t array<bigint>, e array<bigint>"
+
+
+def chosen_intervals(intervals: DataFrame, width: int) -> DataFrame:
+    """(episode_id, stream_key, rank, st, et): what the greedy selection accepts from a latest-start table.
+
+    The carry maps of a stream's segments, a few numbers each, are walked in order to the state in which the selection
+    enters each segment; then every segment selects for itself, so no stream is one task.
+    """
+
+    def entered(key: tuple, rows: list[tuple]) -> tuple:
+        n, t, e, out = 0, -(1 << 62), -(1 << 62), []
+        for seg, flat in rows:
+            out.append((seg, n, t, e))
+            c, t, e = apply_map(_steps(flat), t, e)
+            n += c
+        return (*key, *map(list, zip(*out, strict=True)))
+
+    def kernel(table: pa.Table) -> list[tuple]:
+        k, stream, n, t, e = (table.column(c)[0].as_py() for c in ("episode_id", "stream_key", "n", "t", "e"))
+        st, se, et, ee = (table.column(c).to_numpy() for c in ("st", "se", "et", "ee"))
+        first = int(np.searchsorted(st, t, "left"))
+        while first < len(st) and (st[first], se[first]) <= (t, e):
+            first += 1
+        at = greedy(st[first:], se[first:], et[first:], ee[first:])
+        return [(k, stream, n + i + 1, int(st[first + j]), int(et[first + j])) for i, j in enumerate(at)]
+
+    states = fold_rows(carry_maps(intervals, width), ["episode_id", "stream_key"], ["seg"], entered, STATES_SQL, _STATES)
+    each = states.select("episode_id", "stream_key", F.explode(F.arrays_zip("seg", "n", "t", "e")).alias("x")).select("episode_id", "stream_key", "x.seg", "x.n", "x.t", "x.e")
+    cut = intervals.withColumn("seg", _segment_of("et", width)).join(each, ["episode_id", "stream_key", "seg"])
+    return over_runs(cut, ["episode_id", "stream_key", "seg"], ["et", "ee"], kernel, "episode_id bigint, stream_key string, rank bigint, st bigint, et bigint", _CHOSEN)
 
 
 def compose_maps(maps: DataFrame, segments: int | None = None) -> DataFrame:
@@ -150,37 +185,36 @@ def with_zeros(counts: DataFrame, eps: DataFrame) -> DataFrame:
     return eps.select("episode_id").join(total, "episode_id", "left").select("episode_id", F.coalesce("support", F.lit(0)).cast("bigint").alias("support"))
 
 
-def count_nonoverlapped(ev: DataFrame, eps: DataFrame, engine: str = "arrow", width: int | None = None, groups: int | None = None, by_stream: bool = False) -> DataFrame:
+def count_nonoverlapped(ev: DataFrame, eps: DataFrame, engine: str = "arrow", width: int | None = None, groups: int | None = None, by_stream: bool = False, spread: tuple | None = None) -> DataFrame:
     """Exact support of each candidate: the largest number of pairwise non-overlapped occurrences.
 
     engine "arrow": candidates go to every task (MOST_BROADCAST at most), events are shuffled once. "relational": the
-    latest-start table by windows, for candidate tables of any size. Both then use carry maps. With by_stream the rows
-    are (episode_id, stream_key, support) without zeros.
+    latest-start table by windows, for candidate tables of any size and for edges without an upper limit. Both then use
+    carry maps. With by_stream the rows
+    are (episode_id, stream_key, support) without zeros. spread: what extent(ev) gave, or gave for a stream that holds
+    ev, so that a caller with many counts reads it once.
     """
     if engine not in ("arrow", "relational"):
         raise ValueError("engine is arrow or relational")
     slots = ev.sparkSession.sparkContext.defaultParallelism
-    spread = extent(ev)
+    spread = spread or extent(ev)
     if engine == "arrow":
         episodes = collect_episodes(eps, MOST_BROADCAST)
         reaches = [e.reach for e in episodes.values()]
         reach = None if any(r is None for r in reaches) else max(reaches, default=0)
     else:
         _, reach, _ = shape(eps)
-    width = None if reach is None else max(width or segment_width(spread, reach, slots), reach + 1)
-    if engine == "arrow":
+    width = max(width or segment_width(spread, reach or 0, slots), (reach or 0) + 1)
+    if engine == "arrow" and reach is not None:
         maps = segment_maps(ev, episodes, width, groups or max(1, min(slots, len(episodes) // 2_000)))
-    else:
+    else:  # open edges reach over every segment: buckets hand chains on, and only the relational form does that
         maps = carry_maps(latest_starts(ev, eps), width)
-    segments = 1 if width is None or spread[0] is None else (spread[1] - spread[0]) // width + 2
+    segments = 1 if spread[0] is None else (spread[1] - spread[0]) // width + 2
     counts = compose_maps(maps, segments)
     return counts if by_stream else with_zeros(counts, eps)
 
 
 def count_independent(ev: DataFrame, eps: DataFrame, width: int) -> DataFrame:
     """The contrast: each segment counts on its own and counts are added up. Occurrences across a cut are lost."""
-    episodes = collect_episodes(eps, MOST_BROADCAST)
-    seg = F.floor((F.col("t") - 1) / width).cast("bigint")
-    own = needed(ev, episodes).select(F.concat_ws("/", "stream_key", seg.cast("string")).alias("stream_key"), "sym", "t", "eid")
-    reach = max((e.reach or 0 for e in episodes.values()), default=0)
-    return with_zeros(compose_maps(segment_maps(own, episodes, max(width, reach + 1)), 1), eps)
+    own = ev.select(F.concat_ws("/", "stream_key", _segment_of("t", width).cast("string")).alias("stream_key"), "sym", "t", "eid")
+    return with_zeros(count_nonoverlapped(own, eps, width=width, by_stream=True), eps)

@@ -17,31 +17,41 @@ def level_one(ev: DataFrame, theta: int) -> DataFrame:
     return n.select(F.array("sym").alias("nodes"), none.alias("low"), none.alias("high"), "support")
 
 
+def _shared(first: int, n: int):
+    """n nodes from the first-th on and the limits between them, as one string."""
+    return F.to_json(F.struct(F.slice("nodes", first, n).alias("n"), F.slice("low", first, n - 1).alias("l"), F.transform(F.slice("high", first, n - 1), lambda h: F.coalesce(h, F.lit(-1))).alias("h")))
+
+
+def count_candidates(frequent: DataFrame, intervals: list[Interval], k: int, n: int) -> int:
+    """How many candidates of size k the n frequent ones of size k - 1 give, known before any of them is made."""
+    if k == 2:
+        return n * n * len(intervals)
+    ends = frequent.groupBy(_shared(2, k - 2).alias("shared")).agg(F.count("*").alias("x"))
+    starts = frequent.groupBy(_shared(1, k - 2).alias("shared")).agg(F.count("*").alias("y"))
+    return ends.join(starts, "shared").agg(F.coalesce(F.sum(F.col("x") * F.col("y")), F.lit(0))).first()[0]
+
+
 def next_candidates(frequent: DataFrame, intervals: list[Interval], k: int) -> DataFrame:
     """(nodes, low, high, bound) of size k from the frequent ones of size k - 1; bound: the smaller of the two supports.
 
     k = 2: all ordered pairs of frequent symbols times the intervals. k >= 3: two episodes that agree on all but the
     first node of one and the last of the other, an equality join on the shared part.
     """
-    spark = frequent.sparkSession
     if k == 2:
-        inter = spark.createDataFrame([(i.low, i.high) for i in intervals], "lo bigint, hi bigint")
+        limits = F.explode(F.array(*[F.struct(F.lit(i.low).cast("bigint").alias("lo"), F.lit(i.high).cast("bigint").alias("hi")) for i in intervals]))
         a = frequent.select(F.col("nodes").alias("na"), F.col("support").alias("sa"))
         b = frequent.select(F.col("nodes").alias("nb"), F.col("support").alias("sb"))
-        # frequent symbols squared times intervals is the candidate set itself
-        return a.crossJoin(b).crossJoin(F.broadcast(inter)).select(F.concat("na", "nb").alias("nodes"), F.array("lo").alias("low"), F.array("hi").alias("high"), F.least("sa", "sb").alias("bound"))
-    part = lambda first, n: F.to_json(F.struct(F.slice("nodes", first, n).alias("n"), F.slice("low", first, n - 1).alias("l"), F.transform(F.slice("high", first, n - 1), lambda h: F.coalesce(h, F.lit(-1))).alias("h")))
-    left = frequent.select("nodes", "low", "high", F.col("support").alias("sa"), part(2, k - 2).alias("shared"))
-    right = frequent.select(F.element_at("nodes", -1).alias("node"), F.element_at("low", -1).alias("lo"), F.element_at("high", -1).alias("hi"), F.col("support").alias("sb"), part(1, k - 2).alias("shared"))
+        # frequent symbols squared is the candidate set itself, within the budget
+        pairs = a.crossJoin(b).withColumn("i", limits)
+        return pairs.select(F.concat("na", "nb").alias("nodes"), F.array("i.lo").alias("low"), F.array("i.hi").alias("high"), F.least("sa", "sb").alias("bound"))
+    left = frequent.select("nodes", "low", "high", F.col("support").alias("sa"), _shared(2, k - 2).alias("shared"))
+    right = frequent.select(F.element_at("nodes", -1).alias("node"), F.element_at("low", -1).alias("lo"), F.element_at("high", -1).alias("hi"), F.col("support").alias("sb"), _shared(1, k - 2).alias("shared"))
     return left.join(right, "shared").select(F.concat("nodes", F.array("node")).alias("nodes"), F.concat("low", F.array("lo")).alias("low"), F.concat("high", F.array("hi")).alias("high"), F.least("sa", "sb").alias("bound"))
 
 
 def numbered(candidates: DataFrame) -> DataFrame:
-    """With an episode_id that depends on the episode alone: candidates are ordered by their parts, a bounded table."""
-    from pyspark.sql import Window
-
-    rank = F.row_number().over(Window.orderBy("nodes", "low", "high")) - 1  # within CANDIDATE_BUDGET rows
-    return candidates.withColumn("episode_id", rank.cast("bigint"))
+    """With an episode_id in the order of nodes and limits: a range sort, so that no task numbers all; write it before use."""
+    return candidates.orderBy("nodes", "low", "high").withColumn("episode_id", F.monotonically_increasing_id())
 
 
 def as_table(candidates: DataFrame) -> DataFrame:

@@ -12,13 +12,17 @@ from pyspark.sql import functions as F
 
 from episodic.functions.store import level_store
 from episodic.model import Interval
+from episodic.operators.chains import shape
 from episodic.operators.scans import count_episode_parallel
-from episodic.operators.segments import count_nonoverlapped
-from episodic.plans.candidates import CANDIDATE_BUDGET, as_table, level_one, next_candidates, numbered
+from episodic.operators.segments import count_nonoverlapped, extent, segment_width
+from episodic.operators.stitch import count_stitched
+from episodic.plans.candidates import CANDIDATE_BUDGET, as_table, count_candidates, level_one, next_candidates, numbered
 from episodic.plans.dispatch import CrossoverModel, choose_counting
 from episodic.plans.relax import upper_counts
 
 FREQUENT_SQL = "size int, nodes array<string>, low array<bigint>, high array<bigint>, support bigint"
+#: Frequent symbols that may be broadcast to filter the events.
+MOST_SYMBOLS = 1_000_000
 
 
 @dataclass
@@ -41,55 +45,76 @@ class Mined:
 
 def mine(
     ev: DataFrame, intervals: list[Interval], theta: int, max_nodes: int = 8, strategy: str = "auto", counting: str = "auto", engine: str = "arrow", kernel: str = "latest", width: int | None = None,
-    model: CrossoverModel | None = None, batch: int = 32, budget: int = CANDIDATE_BUDGET, uniform: bool = False,
+    model: CrossoverModel | None = None, batch: int = 32, budget: int = CANDIDATE_BUDGET, uniform: bool = False, stitching: str = "carry", membership_only: bool = False,
 ) -> Mined:
     """All episodes of up to max_nodes nodes whose edges take intervals from `intervals` and whose support reaches theta.
 
     strategy: "two_pass" culls by relaxed counts first, "one_pass" counts all exactly; "auto" takes two passes where the
     relaxed machine is cheaper than the exact one (list automata) and one where both cost the same (latest starts). counting: "segment", "episode"
-    or "auto" (the dispatcher). uniform: one interval for all edges of an episode. A level with more candidates than
-    `budget` is refused with its number. Levels are written to the shared folder; the driver holds counters only.
+    or "auto" (the dispatcher). stitching: how segments are put together, by "carry" maps or, "faithful", by joining the
+    shifted machines of neighbours, with carry maps where none match. uniform: one interval for all edges of an episode.
+    membership_only: supports may be any bound that reaches theta; a candidate whose relaxed form has every lower limit
+    0 already is then not counted twice. A level with more candidates than `budget` is refused with its number before
+    any is made. Levels are written to the shared folder; the driver holds counters only.
     """
     if theta < 1 or max_nodes < 1 or not intervals:
         raise ValueError("theta and max_nodes are at least 1, and there is at least one interval")
     if strategy not in ("auto", "two_pass", "one_pass") or counting not in ("auto", "segment", "episode"):
         raise ValueError("strategy is auto, two_pass or one_pass; counting is auto, segment or episode")
+    if stitching not in ("carry", "faithful"):
+        raise ValueError("stitching is carry or faithful")
     slots = ev.sparkSession.sparkContext.defaultParallelism
 
     def count(e: DataFrame, c: DataFrame, way: str, relaxed: bool = False) -> DataFrame:
         if way == "episode":  # the relaxed form has a cheaper machine
             share = max(batch, math.ceil(c.count() / (2 * slots)))  # enough groups to fill the slots: each reads the stream once
             return count_episode_parallel(e, c, "slot" if relaxed and kernel == "list" else kernel, share)
-        return count_nonoverlapped(e, c, engine, width)
+        if stitching == "faithful":
+            reach = shape(c)[1]
+            if reach is None:
+                raise ValueError("faithful stitching needs an upper limit on every edge")
+            return count_stitched(e, c, max(width or segment_width(spread, reach, slots), reach + 1)).select("episode_id", "support")
+        return count_nonoverlapped(e, c, engine, width, spread=spread)
 
     began = time.time()
+    spread = extent(ev)
     symbols = ev.select("sym").distinct().count()
     frequent = level_store(level_one(ev, theta), "1")
     n = frequent.count()
     report = [Level(1, symbols, symbols, n, "scan", time.time() - began)]
     levels = [frequent.select(F.lit(1).alias("size"), "nodes", "low", "high", "support")]
-    ev = ev.join(F.broadcast(frequent.select(F.col("nodes")[0].alias("sym"))), "sym", "left_semi").select("stream_key", "sym", "t", "eid")
+    kept = frequent.select(F.col("nodes")[0].alias("sym"))
+    ev = ev.join(F.broadcast(kept) if n <= MOST_SYMBOLS else kept, "sym", "left_semi").select("stream_key", "sym", "t", "eid")
     for k in range(2, max_nodes + 1):
         if not n:
             break
         began = time.time()
+        m = count_candidates(frequent, intervals, k, n)
+        if m > budget:
+            raise ValueError(f"{m} candidates of size {k} from {n} frequent ones; the budget is {budget}: raise theta")
         found = next_candidates(frequent, intervals, k)
         if uniform:
             found = found.filter((F.size(F.array_distinct("low")) == 1) & (F.size(F.array_distinct("high")) == 1))
-        m = found.count()
-        if m > budget:
-            raise ValueError(f"{m} candidates of size {k} from {n} frequent ones; the budget is {budget}: raise theta")
+        cands = level_store(numbered(found), f"candidates-{k}")
+        if uniform:
+            m = cands.count()
         if not m:
             break
-        cands = level_store(numbered(found), f"candidates-{k}")
         way = choose_counting(m, k, slots, batch, model) if counting == "auto" else counting
         table = as_table(cands)
+        left, sure = m, None
         if strategy == "two_pass" or (strategy == "auto" and way == "episode" and kernel == "list"):
             upper = upper_counts(ev, table, lambda e, c, w=way: count(e, c, w, True))
-            table = level_store(table.join(upper.filter(F.col("upper") >= theta).select("episode_id"), "episode_id", "left_semi"), f"survivors-{k}")
-        left = table.count()
+            table = level_store(table.join(upper.filter(F.col("upper") >= theta), "episode_id"), f"survivors-{k}")
+            if membership_only:
+                loose = F.forall("low", lambda x: x == 0)
+                sure = table.filter(loose).select("episode_id", F.col("upper").alias("support"))
+                table = table.filter(~loose)
+            table = table.drop("upper")
+            left = table.count()
         way = choose_counting(left, k, slots, batch, model) if counting == "auto" else counting
         exact = count(ev, table, way).filter(F.col("support") >= theta)
+        exact = exact if sure is None else exact.unionByName(sure)
         frequent = level_store(as_table(cands).join(exact, "episode_id").select("nodes", "low", "high", "support"), str(k))
         n = frequent.count()
         report.append(Level(k, m, left, n, way, time.time() - began))

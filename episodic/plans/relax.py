@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from episodic.functions.store import level_store
 from episodic.operators.segments import count_nonoverlapped
 
 Counter = Callable[[DataFrame, DataFrame], DataFrame]
@@ -28,7 +29,7 @@ def upper_counts(ev: DataFrame, eps: DataFrame, counter: Counter = count_nonover
 
 def count_two_pass(ev: DataFrame, eps: DataFrame, theta: int, counter: Counter = count_nonoverlapped) -> DataFrame:
     """(episode_id, upper, survived, exact): the relaxed pass on all, the exact pass on those that reach theta; exact null if culled."""
-    upper = upper_counts(ev, eps, counter)
+    upper = level_store(upper_counts(ev, eps, counter), "upper")  # read by the cull and by the result
     left = eps.join(upper.filter(F.col("upper") >= theta).select("episode_id"), "episode_id", "left_semi")
     exact = counter(ev, left).withColumnRenamed("support", "exact")
     return upper.join(exact, "episode_id", "left").select("episode_id", "upper", (F.col("upper") >= theta).alias("survived"), "exact")
