@@ -20,11 +20,13 @@ COUNTERS = ("events_seen", "machine_steps", "probes", "pushes", "peak_list", "st
 
 
 def _dealt(ev: DataFrame, eps: DataFrame, batch: int) -> tuple[DataFrame, dict[int, Episode], list[list[int]]]:
-    """Each stream once for every group of `batch` candidates: the unit of episode-parallel work."""
+    """Each stream once for every group of `batch` candidates, with the events of the group's own symbols only."""
     episodes = collect_episodes(eps, MOST_BROADCAST)
     ids = sorted(episodes)
     groups = [ids[i : i + batch] for i in range(0, len(ids), batch)] or [[]]
-    rows = needed(ev, episodes).select("stream_key", "sym", "t", "eid").withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(len(groups) - 1))))
+    uses = sorted({(n, part) for part, group in enumerate(groups) for i in group for n in episodes[i].nodes})
+    plan = ev.sparkSession.createDataFrame(uses, "sym string, part int")  # at most a row for each node of the candidates
+    rows = needed(ev, episodes).select("stream_key", "sym", "t", "eid").join(plan, "sym")
     return rows, episodes, groups
 
 

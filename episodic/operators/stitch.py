@@ -77,23 +77,25 @@ def stitch(tuples: DataFrame, eps: DataFrame, width: int) -> DataFrame:
     span = tuples.groupBy("stream_key").agg(F.min("seg").alias("lo"), F.max("seg").alias("hi"))
     most = span.agg(F.max(F.col("hi") - F.col("lo") + 1)).first()[0] or 0
     sizes = eps.select("episode_id", F.sequence(F.lit(0), F.size("nodes") - 1).alias("ks"))
-    grid = span.select("stream_key", "lo", F.explode(F.sequence("lo", "hi")).alias("seg")).crossJoin(F.broadcast(sizes)).select("episode_id", "stream_key", "lo", "seg", F.explode("ks").alias("k"))
+    grid = span.select("stream_key", "lo", "hi", F.explode(F.sequence("lo", "hi")).alias("seg")).crossJoin(F.broadcast(sizes)).select("episode_id", "stream_key", "lo", "hi", "seg", F.explode("ks").alias("k"))
     edge = F.col("seg") * width
     full = grid.join(tuples, ["episode_id", "stream_key", "seg", "k"], "left").select(
-        "episode_id", "stream_key", (F.col("seg") - F.col("lo")).alias("seg"), "k", F.coalesce("a", edge).alias("a"), F.coalesce("cnt", F.lit(0)).alias("cnt"), F.coalesce("b", edge + width).alias("b")
+        "episode_id", "stream_key", (F.col("hi") - F.col("lo")).alias("last"), (F.col("seg") - F.col("lo")).alias("seg"), "k", F.coalesce("a", edge).alias("a"), F.coalesce("cnt", F.lit(0)).alias("cnt"), F.coalesce("b", edge + width).alias("b")
     )
     rounds = 0
     current = level_store(full, "tuples")
     while most > 1:
         pair = F.floor(F.col("seg") / 2).cast("bigint")
-        left = current.filter(F.col("seg") % 2 == 0).select("episode_id", "stream_key", pair.alias("seg"), "k", "a", "cnt", "b")
+        # an odd last segment has no neighbour and goes up as it is; one whose neighbour lost all its tuples does not
+        alone = (F.col("seg") == F.col("last")).alias("alone")
+        left = current.filter(F.col("seg") % 2 == 0).select("episode_id", "stream_key", alone, F.floor(F.col("last") / 2).cast("bigint").alias("last"), pair.alias("seg"), "k", "a", "cnt", "b")
         right = current.filter(F.col("seg") % 2 == 1).groupBy("episode_id", "stream_key", pair.alias("seg"), "a").agg(F.min(F.struct("cnt", "b")).alias("to"))
-        # at most one entry a shift; an odd last segment has no neighbour and goes up as it is
+        # at most one entry a shift
         options = right.groupBy("episode_id", "stream_key", "seg").agg(F.map_from_entries(F.collect_list(F.struct("a", "to"))).alias("options"))
         met = left.join(options, ["episode_id", "stream_key", "seg"], "left").withColumn("to", F.try_element_at("options", F.col("b")))
-        alone = F.col("options").isNull()
+        alone = F.col("alone")
         met = met.filter(alone | F.col("to").isNotNull()).select(
-            "episode_id", "stream_key", "seg", "k", "a", F.when(alone, F.col("cnt")).otherwise(F.col("cnt") + F.col("to.cnt")).alias("cnt"), F.when(alone, F.col("b")).otherwise(F.col("to.b")).alias("b")
+            "episode_id", "stream_key", "last", "seg", "k", "a", F.when(alone, F.col("cnt")).otherwise(F.col("cnt") + F.col("to.cnt")).alias("cnt"), F.when(alone, F.col("b")).otherwise(F.col("to.b")).alias("b")
         )
         current = level_store(met, f"stitch-{rounds}")
         most = (most + 1) // 2

@@ -28,7 +28,7 @@ def _values(episodes: list[Episode], n: int) -> str:
     rows = []
     for i, e in enumerate(episodes):
         if len(e.nodes) == n:
-            cells = [str(i), f"'{format_episode(e)}'", *(f"'{x}'" for x in e.nodes), *(f"CAST({v} AS BIGINT)" for x in e.edges for v in (x.low, x.high))]
+            cells = [str(i), f"'{format_episode(e)}'", *(f"'{x}'" for x in e.nodes), *(f"CAST({v} AS BIGINT)" for x in e.edges for v in (x.low, 1 << 61 if x.high is None else x.high))]
             rows.append("(" + ", ".join(cells) + ")")
     names = ["ep", "episode", *(f"n{k}" for k in range(1, n + 1)), *(f"{c}{k}" for k in range(1, n) for c in "lh")]
     return f"(VALUES {', '.join(rows)}) AS v({', '.join(names)})"

@@ -2,9 +2,8 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable
+from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,6 +11,7 @@ from pyspark.sql import functions as F
 from episodic import oracle as O
 from episodic import sources as S
 from episodic.functions import sql as surface
+from episodic.functions.store import work_folder
 from episodic.model import Episode, Interval, episode_table, format_episode, pairs_of
 from episodic.operators import measures as M
 from episodic.operators.chains import latest_starts
@@ -109,6 +109,12 @@ add("ep1_support", _support(S.event_types, SINGLES), O.support_sql("types", SING
 add("ep2_exact", _support(S.event_types, PAIRS), O.support_sql("types", PAIRS))
 add("ep3_exact", _support(S.event_types, TRIPLES), O.support_sql("types", TRIPLES))
 add("ep4_exact", _support(S.event_types, QUADS), O.support_sql("types", QUADS, asof=True))
+_WALK = ("view", "signup", "click", "purchase", "error", "view", "click")
+LONG = {n: [Episode(_WALK[:n], tuple(I3[(i + j) % 3] for j in range(n - 1))) for i in range(3)] + [Episode(tuple(reversed(_WALK[:n])), (I3[2],) * (n - 1))] for n in (5, 6, 7, 8) if n <= len(_WALK)}
+for _n, _eps in LONG.items():
+    add(f"ep{_n}_exact", _support(S.event_types, _eps), O.support_sql("types", _eps, asof=True))
+OPEN = [Episode(("view", "click"), (Interval(0, None),)), Episode(("click", "purchase", "error"), (Interval(1800 * SEC, None), Interval(0, 600 * SEC))), Episode(("error", "view", "signup"), (I3[0], Interval(3600 * SEC, None)))]
+add("open_ended_support", _support(S.event_types, OPEN), O.support_sql("types", OPEN, asof=True))
 add("ep_repeat_symbol", _support(S.event_types, REPEATS), O.support_sql("types", REPEATS))
 add("user26_pairs", _support(S.user_symbols, USERS), O.support_sql("user26", USERS))
 
@@ -228,6 +234,26 @@ def frequent_all_levels(spark, d):
     return frequent(spark, d).select("size", written().alias("episode"), "support")
 
 
+UNIFORM = I3[2]
+UNIFORM_THETA = 175
+_UNIFORM = {n: [Episode(x, (UNIFORM,) * (n - 1)) for x in product(TYPES, repeat=n)] for n in (2, 3, 4)}
+
+
+@query(" UNION ALL ".join(f"SELECT {n} AS size, episode, support FROM ({O.support_sql('types', eps, asof=True)}) WHERE support >= {UNIFORM_THETA}" for n, eps in _UNIFORM.items()))
+def mine_level4(spark, d):
+    """All episodes of two to four nodes whose delays are all of 30 to 60 minutes: four levels, two passes."""
+    found = frequent(spark, d, UNIFORM_THETA, [UNIFORM], 4, strategy="two_pass")
+    return found.filter("size > 1").select("size", written().alias("episode"), "support")
+
+
+_TWO_LEVELS = f"{_LEVEL[1]} UNION ALL {_LEVEL[2]}"
+for _way, _options in {
+    "mine_by_segments": {"counting": "segment"}, "mine_by_episodes": {"counting": "episode", "kernel": "list"}, "mine_stitched": {"counting": "segment", "stitching": "faithful", "width": SEGMENT},
+    "mine_hybrid": {"counting": "auto"}, "mine_relational": {"counting": "segment", "engine": "relational"}, "mine_membership": {"strategy": "two_pass", "membership_only": True},
+}.items():
+    add(_way, lambda spark, d, o=_options: frequent(spark, d, max_nodes=2, **o).select("size", written().alias("episode"), "support"), _TWO_LEVELS)
+
+
 @query(_FREQUENT)
 def frequent_two_pass(spark, d):
     return frequent(spark, d, strategy="two_pass").select("size", written().alias("episode"), "support")
@@ -273,18 +299,21 @@ add("segmented_exact", _support(S.event_types, PAIRS, width=SEGMENT), ORACLE["ep
 add("relational_exact", _support(S.event_types, PAIRS, engine="relational", width=SEGMENT), ORACLE["ep2_exact"])
 
 
-@query(O.support_sql("types", FEW))
+@query(f"SELECT episode, support, TRUE AS matched FROM ({O.support_sql('types', FEW)})")
 def stitch_faithful(spark, d):
-    """Stitched counts; unmatched ones are replaced by exact ones, as count_stitched does."""
+    """Stitched counts; unmatched ones would be replaced by exact ones, and say so."""
     from episodic.operators.stitch import count_stitched
 
-    return _named(count_stitched(S.event_types(spark, d), episode_table(spark, FEW), SEGMENT), FEW).select("episode", "support")
+    return _named(count_stitched(S.event_types(spark, d), episode_table(spark, FEW), SEGMENT), FEW).select("episode", "support", "matched")
 
 
-@query()
+@query(f"""WITH n AS (SELECT max((epoch_us(ts) - 1) // {SEGMENT}) - min((epoch_us(ts) - 1) // {SEGMENT}) + 1 AS p FROM events)
+    SELECT episode, 'all' AS stream_key, support AS cnt, TRUE AS matched, CAST(ceil(log2(p)) AS INT) AS rounds FROM ({O.support_sql('types', FEW)}), n""")
 def stitch_matches(spark, d):
+    """What the joins alone give, with their rounds: the binary logarithm of the number of segments, rounded up."""
     eps = episode_table(spark, FEW)
-    return _named(stitch(segment_map(S.event_types(spark, d), eps, SEGMENT), eps, SEGMENT), FEW)
+    tied = stitch(segment_map(S.event_types(spark, d), eps, SEGMENT), eps, SEGMENT)
+    return _named(tied, FEW).select("episode", "stream_key", "cnt", "matched", "rounds")
 
 
 _CUT = f"SELECT 'all/' || ((epoch_us(ts) - 1) // {SEGMENT}) AS stream_key, event_type AS sym, epoch_us(ts) AS t, event_id AS eid FROM events"
@@ -459,43 +488,272 @@ def setops_slices(spark, d):
 
 
 @query(f"WITH {O.chains('users', [USER_EPS[0]])}, g AS ({O.fold()}) SELECT episode, CAST(sum(support) AS BIGINT) AS support FROM g JOIN eps USING (ep) GROUP BY episode")
-def sql_udtf_mine(spark, d):
-    """The table function, called from SQL on each user's events."""
+def sql_udtf_occurrences(spark, d):
+    """The table function of one episode, called from SQL on each user's events."""
     surface.register(spark)
     S.event_types(spark, d, by_user=True).createOrReplaceTempView("episode_events")
     text = format_episode(USER_EPS[0])
     return spark.sql(f"SELECT episode, sum(support) AS support FROM episode_occurrences(TABLE(episode_events) PARTITION BY stream_key ORDER BY (t, eid), '{text}') GROUP BY episode")
 
 
-@query(O.support_sql("types", FEW))
-def stream_replay_support(spark, d):
-    """The events table fed through the streaming counter; a closing event two days later lets the watermark pass.
+@query(_FREQUENT)
+def sql_udtf_mine(spark, d):
+    """All frequent episodes by the mining table function, called from SQL."""
+    surface.register(spark)
+    S.event_types(spark, d).createOrReplaceTempView("episode_events")
+    limits = ",".join(f"{i.low}-{i.high}" for i in I3)
+    return spark.sql(f"SELECT size, episode, support FROM mine_episodes(TABLE(episode_events) PARTITION BY stream_key ORDER BY (t, eid), '{limits}', {THETA}, 3)")
+
+
+@query(O.stream_support_sql("users", USER_EPS))
+def sql_udaf_support(spark, d):
+    """The grouped aggregate, called from SQL: a row for each user and episode."""
+    surface.register(spark)
+    S.event_types(spark, d, by_user=True).createOrReplaceTempView("episode_events")
+    each = [f"SELECT '{format_episode(e)}' AS episode, stream_key, episode_count(sym, t, '{format_episode(e)}') AS support FROM episode_events GROUP BY stream_key" for e in USER_EPS]
+    return spark.sql(f"SELECT * FROM ({' UNION ALL '.join(each)}) WHERE support > 0")
+
+
+@query(f"SELECT * FROM ({O.support_sql('types', PAIRS)})")
+def sql_notation(spark, d):
+    """Candidates written out in SQL and read by parse_episode: their counts."""
+    surface.register(spark)
+    spark.createDataFrame([(i, " " + format_episode(e)) for i, e in enumerate(PAIRS)], "episode_id bigint, text string").createOrReplaceTempView("written_episodes")
+    eps = spark.sql("SELECT episode_id, p.nodes, p.low, p.high FROM (SELECT episode_id, parse_episode(text) AS p FROM written_episodes)")
+    names = spark.sql("SELECT episode_id, canonical_episode(text) AS episode FROM written_episodes")
+    return count_nonoverlapped(S.event_types(spark, d), eps).join(names, "episode_id").select("episode", "support")
+
+
+# the relational operators that users of the miner need beside it
+
+
+@query("SELECT s.strategy, count(*) AS n, CAST(sum(o.o_custkey) AS BIGINT) AS keys FROM orders o JOIN customer ON o_custkey = c_custkey CROSS JOIN (VALUES ('broadcast'), ('merge'), ('shuffle_hash')) s(strategy) GROUP BY s.strategy")
+def join_strategies(spark, d):
+    """One equality join by each physical strategy."""
+    orders, customers = S.read_table(spark, d, "orders").select("o_custkey"), S.read_table(spark, d, "customer").select("c_custkey")
+    on = F.col("o_custkey") == F.col("c_custkey")
+    each = [orders.join(customers.hint(h), on).agg(F.lit(h).alias("strategy"), F.count("*").alias("n"), F.sum("o_custkey").alias("keys")) for h in ("broadcast", "merge", "shuffle_hash")]
+    return each[0].unionByName(each[1]).unionByName(each[2])
+
+
+@query("""SELECT event_type AS sym, count(DISTINCT user_id) AS users, count(DISTINCT CAST(ts AS DATE)) AS days, round(quantile_cont(value, 0.5), 6) AS median, round(quantile_cont(value, 0.9), 6) AS q90, TRUE AS near
+    FROM events GROUP BY event_type""")
+def distinct_and_approximate(spark, d):
+    """Distinct counts and percentiles, exact ones and sketches; `near`: the sketches are within their error."""
+    ev = S.read_table(spark, d, "events")
+    out = ev.groupBy(F.col("event_type").alias("sym")).agg(
+        F.countDistinct("user_id").alias("users"), F.countDistinct(F.to_date("ts")).alias("days"), F.percentile("value", 0.5).alias("median"), F.percentile("value", 0.9).alias("q90"),
+        F.approx_count_distinct("user_id", 0.05).alias("u"), F.percentile_approx("value", 0.5, 1_000).alias("m"), (F.max("value") - F.min("value")).alias("span"),
+    )
+    near = (F.abs(F.col("u") - F.col("users")) <= 0.25 * F.col("users") + 2) & (F.abs(F.col("m") - F.col("median")) <= 0.05 * F.col("span"))
+    return out.select("sym", "users", "days", F.round("median", 6).alias("median"), F.round("q90", 6).alias("q90"), near.alias("near"))
+
+
+@query(f"SELECT CAST(epoch_us(ts) // {DAY} AS BIGINT) AS day, event_type AS sym, count(*) AS n, CAST(grouping(epoch_us(ts) // {DAY}) AS INT) AS g1, CAST(grouping(event_type) AS INT) AS g2 FROM events GROUP BY ROLLUP (epoch_us(ts) // {DAY}, event_type)")
+def report_rollup(spark, d):
+    ev = S.event_types(spark, d).select(F.floor(F.col("t") / DAY).alias("day"), "sym")
+    return ev.rollup("day", "sym").agg(F.count("*").alias("n"), F.grouping("day").cast("int").alias("g1"), F.grouping("sym").cast("int").alias("g2"))
+
+
+_GROUPING_SETS = "SELECT event_type AS sym, user_id % 5 AS part, count(*) AS n FROM events GROUP BY GROUPING SETS ((event_type, user_id % 5), (event_type), ())"
+
+
+@query(_GROUPING_SETS)
+def report_grouping_sets(spark, d):
+    S.read_table(spark, d, "events").select("event_type", (F.col("user_id") % 5).alias("part")).createOrReplaceTempView("typed_events")
+    return spark.sql("SELECT event_type AS sym, part, count(*) AS n FROM typed_events GROUP BY GROUPING SETS ((event_type, part), (event_type), ())")
+
+
+@query(f"""SELECT episode, support, rank() OVER w AS rank, dense_rank() OVER w AS dense, CAST(ntile(4) OVER v AS INT) AS quarter, round(percent_rank() OVER w, 9) AS pr, round(cume_dist() OVER w, 9) AS cd
+    FROM ({O.support_sql('types', PAIRS)}) WINDOW w AS (ORDER BY support DESC), v AS (ORDER BY support DESC, episode)""")
+def support_ranks(spark, d):
+    """Ranking functions over the supports of the listed candidates: a bounded table."""
+    from pyspark.sql import Window
+
+    named = _named(count_nonoverlapped(S.event_types(spark, d), episode_table(spark, PAIRS)), PAIRS)
+    w, v = Window.orderBy(F.desc("support")), Window.orderBy(F.desc("support"), "episode")
+    return named.select(
+        "episode", "support", F.rank().over(w).cast("bigint").alias("rank"), F.dense_rank().over(w).cast("bigint").alias("dense"), F.ntile(4).over(v).alias("quarter"),
+        F.round(F.percent_rank().over(w), 9).alias("pr"), F.round(F.cume_dist().over(w), 9).alias("cd"),
+    )
+
+
+@query(f"""WITH ev AS ({O.EVENTS["users"]}) SELECT stream_key, eid, lead(t) OVER w - t AS ahead, t - lag(t) OVER w AS behind, first_value(sym) OVER f AS first, last_value(sym) OVER f AS last, nth_value(sym, 2) OVER f AS second
+    FROM ev WINDOW w AS (PARTITION BY stream_key ORDER BY t, eid), f AS (PARTITION BY stream_key ORDER BY t, eid ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)""")
+def neighbour_events(spark, d):
+    """Analytic functions within each user's stream."""
+    from pyspark.sql import Window
+
+    w = Window.partitionBy("stream_key").orderBy("t", "eid")
+    f = w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return S.event_types(spark, d, by_user=True).select(
+        "stream_key", "eid", (F.lead("t").over(w) - F.col("t")).alias("ahead"), (F.col("t") - F.lag("t").over(w)).alias("behind"), F.first("sym").over(f).alias("first"), F.last("sym").over(f).alias("last"),
+        F.nth_value("sym", 2).over(f).alias("second"),
+    )
+
 
-    Files are not split by day, and up to 1,000 go into one micro-batch: smaller tables are one batch of data, so this
-    does not show machines continued from stored state.
+@query("SELECT count(*) AS n, CAST(0 AS BIGINT) AS unordered FROM events")
+def range_sorted_layout(spark, d):
+    """Events dealt by ranges of time and sorted inside: how many ranges begin before the end of the one to their left."""
+    from pyspark.sql import Window
+
+    laid = S.event_types(spark, d).repartitionByRange(8, "t", "eid").sortWithinPartitions("t", "eid")
+    ends = laid.groupBy(F.spark_partition_id().alias("part")).agg(F.min("t").alias("lo"), F.max("t").alias("hi"), F.count("*").alias("n"))  # a row a range
+    crossed = (F.col("lo") < F.lag("hi").over(Window.orderBy("part"))).cast("bigint")
+    return ends.withColumn("crossed", F.coalesce(crossed, F.lit(0))).agg(F.sum("n").alias("n"), F.sum("crossed").alias("unordered"))
+
+
+@query("SELECT event_id AS eid, event_type AS sym FROM events WHERE CAST('0x' || substr(md5(CAST(event_id AS VARCHAR)), 1, 6) AS BIGINT) < 0.1 * 16777216")
+def stable_sample(spark, d):
+    """A tenth of the events by a hash of their id: the same rows on any number of partitions."""
+    return S.stable_sample(S.event_types(spark, d), "eid", 0.1).select("eid", "sym")
+
+
+@query(f"""SELECT user_id, event_id FROM events c WHERE event_type = 'click' AND EXISTS (SELECT 1 FROM events p WHERE p.user_id = c.user_id AND p.event_type = 'purchase' AND p.ts > c.ts AND p.ts <= c.ts + INTERVAL 1 DAY)""")
+def exists_purchase_after_click(spark, d):
+    """A correlated EXISTS in SQL, which becomes a semi-join on the user with a range condition."""
+    S.read_table(spark, d, "events").select("user_id", "event_id", "event_type", "ts").createOrReplaceTempView("all_events")
+    return spark.sql("""SELECT user_id, event_id FROM all_events c WHERE event_type = 'click' AND EXISTS (
+        SELECT 1 FROM all_events p WHERE p.user_id = c.user_id AND p.event_type = 'purchase' AND p.ts > c.ts AND p.ts <= c.ts + INTERVAL 1 DAY)""")
+
+
+@query(O.stream_support_sql("users", USER_EPS[:1]))
+def sql_recursive_greedy(spark, d):
+    """The greedy selection as a recursive query: each step goes to the first interval after the last accepted end.
+
+    A step a choice, so it is for short streams (Spark bounds the depth); segments with carry maps have no such bound.
     """
+    table = _named(latest_starts(S.event_types(spark, d, by_user=True), episode_table(spark, USER_EPS[:1])), USER_EPS[:1])
+    table.createOrReplaceTempView("latest_start_rows")
+    return spark.sql("""WITH RECURSIVE iv AS (SELECT *, row_number() OVER (PARTITION BY episode, stream_key ORDER BY et, ee) AS i FROM latest_start_rows),
+        hop AS (SELECT a.episode, a.stream_key, a.i, min(b.i) AS j FROM iv a JOIN iv b ON a.episode = b.episode AND a.stream_key = b.stream_key AND (b.st > a.et OR (b.st = a.et AND b.se > a.ee)) GROUP BY a.episode, a.stream_key, a.i),
+        picked AS (SELECT episode, stream_key, i FROM iv WHERE i = 1 UNION ALL SELECT p.episode, p.stream_key, h.j FROM picked p JOIN hop h ON h.episode = p.episode AND h.stream_key = p.stream_key AND h.i = p.i)
+        SELECT episode, stream_key, count(*) AS support FROM picked GROUP BY episode, stream_key""")
+
+
+@query(f"""WITH s AS (SELECT CAST(user_id AS VARCHAR) AS stream_key, dayofmonth(ts) <= 10 AS a, dayofmonth(ts) > 20 AS b FROM events)
+    SELECT stream_key, CAST(count(*) FILTER (a) AS BIGINT) AS before, CAST(count(*) FILTER (b) AS BIGINT) AS after FROM s WHERE a OR b GROUP BY stream_key""")
+def cogrouped_slices(spark, d):
+    """Two slices of each user's stream side by side in one grouped kernel (cogroup): numbers of events."""
+    import pyarrow as pa
+
+    ev = S.read_table(spark, d, "events").select(F.col("user_id").cast("string").alias("stream_key"), F.dayofmonth("ts").alias("day"))
+
+    def kernel(key, x: pa.Table, y: pa.Table) -> pa.Table:
+        return pa.table({"stream_key": [key[0].as_py()], "before": [x.num_rows], "after": [y.num_rows]})
+
+    a, b = (ev.filter(c).groupBy("stream_key") for c in ("day <= 10", "day > 20"))
+    return a.cogroup(b).applyInArrow(kernel, "stream_key string, before bigint, after bigint")
+
+
+# streaming
+
+
+def _by_time(ev: DataFrame, folder: str, width: int, closing: int) -> None:
+    """ev as a file for each slice of time, and a last one with an event that lets the watermark pass."""
+    from episodic.streaming import write_days
+
+    write_days(ev, folder, width)
+    hi = ev.agg(F.max("t")).first()[0]
+    ev.sparkSession.createDataFrame([("all", "closing", hi + closing, -1)], ev.schema).coalesce(1).write.mode("append").parquet(folder)
+
+
+@query(O.support_sql("types", FEW))
+def stream_replay_support(spark, d):
+    """The events table replayed day by day: a file a day, a file a micro-batch, machines continued from stored state."""
     from episodic.streaming import replay
 
-    root = f"{spark.sparkContext.getConf().get('spark.checkpoint.dir') or 'file://' + tempfile.gettempdir()}/replay-{uuid.uuid4().hex}"
+    root = work_folder(spark, "replay")
+    _by_time(S.event_types(spark, d), f"{root}/in", DAY, 2 * DAY)
+    return _named(replay(spark, f"{root}/in", dict(enumerate(FEW)), f"{root}/out", f"{root}/state"), FEW).select("episode", "support")
+
+
+@query(f"SELECT event_type AS sym, epoch_us(ts) // {DAY} * {DAY} AS start, count(*) AS n FROM events GROUP BY ALL")
+def stream_window_counts(spark, d):
+    """Daily counts in append mode: a window leaves when the watermark has passed its end."""
+    from episodic.sources import read_event_stream
+    from episodic.streaming import windowed_counts
+
+    root = work_folder(spark, "windows")
+    _by_time(S.event_types(spark, d), f"{root}/in", 5 * DAY, 3 * DAY)
+    counted = windowed_counts(read_event_stream(spark, f"{root}/in"), "1 day")
+    q = counted.writeStream.format("parquet").outputMode("append").option("path", f"{root}/out").option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.schema(counted.schema).parquet(f"{root}/out").filter("sym <> 'closing'")
+
+
+@query(ORACLE["interval_join_pairs"])
+def stream_interval_pairs(spark, d):
+    """The views and clicks of a user up to two hours apart, by a join of two streams."""
+    from episodic.sources import read_event_stream
+    from episodic.streaming import interval_pairs
+
+    root = work_folder(spark, "pairs")
+    _by_time(S.event_types(spark, d, by_user=True), f"{root}/in", 10 * DAY, 2 * DAY)
+    views, clicks = (read_event_stream(spark, f"{root}/in").filter(F.col("sym") == x) for x in ("view", "click"))
+    joined = interval_pairs(views, clicks, 2 * HOUR)
+    q = joined.writeStream.format("parquet").outputMode("append").option("path", f"{root}/out").option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.schema(joined.schema).parquet(f"{root}/out")
+
+
+_HELD = "epoch_us(ts) // 864000000000 = (SELECT min(epoch_us(ts) // 864000000000) FROM events)"
+
+
+@query(f"""SELECT count(*) FILTER (NOT ({_HELD}) OR epoch_us(ts) >= (SELECT max(epoch_us(ts)) FROM events) - {20 * DAY}) AS on_time,
+    count(*) FILTER ({_HELD} AND epoch_us(ts) < (SELECT max(epoch_us(ts)) FROM events) - {20 * DAY}) AS late FROM events""")
+def stream_late_counts(spark, d):
+    """The first ten-day slice arrives last: how many of its events are over twenty days behind the newest seen."""
+    from episodic.streaming import split_late
+
+    root = work_folder(spark, "late")
+    ev = S.event_types(spark, d).withColumn("slice", F.floor(F.col("t") / (10 * DAY)))
+    first = ev.agg(F.min("slice")).first()[0]
+    for part in (ev.filter(F.col("slice") > first), ev.filter(F.col("slice") == first)):
+        part.drop("slice").coalesce(1).write.mode("append").parquet(f"{root}/in")
+    counted = split_late(spark, f"{root}/in", 20 * DAY, f"{root}/out", f"{root}/state")
+    return counted.agg(F.sum("on_time").alias("on_time"), F.sum("late").alias("late"))
+
+
+@query("SELECT count(*) AS n FROM events")
+def stream_deduplicated(spark, d):
+    """Every event sent twice and counted once, by ids inside the watermark."""
+    from episodic.sources import read_event_stream
+    from episodic.streaming import once
+
+    root = work_folder(spark, "repeats")
     ev = S.event_types(spark, d)
-    hi = ev.agg(F.max("t")).first()[0]
-    ev.write.parquet(f"{root}/in")
-    spark.createDataFrame([("all", "closing", hi + 2 * DAY, -1)], ev.schema).write.mode("append").parquet(f"{root}/in")
-    out = replay(spark, f"{root}/in", dict(enumerate(FEW)), f"replay_{uuid.uuid4().hex}", f"{root}/state", files_a_batch=1_000)
-    return _named(out, FEW).select("episode", "support")
+    ev.unionByName(ev).coalesce(1).write.parquet(f"{root}/in")
+    kept = once(read_event_stream(spark, f"{root}/in"), "40 days")
+    q = kept.writeStream.format("parquet").outputMode("append").option("path", f"{root}/out").option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.schema(kept.schema).parquet(f"{root}/out").agg(F.count("*").alias("n"))
+
+
+MS = 1_000
+SPIKES = [Interval(0, 5 * MS), Interval(5 * MS, 10 * MS), Interval(10 * MS, 15 * MS)]
+SPIKE_THETA = 320
 
 
 @query()
 def synth_recovery(spark, d):
-    """Supports of the planted chains and their prefixes in a generated recording of 20 s.
+    """Mines 60 s of generated events (about 50,000) and says what became of the planted chains.
 
-    Only planted chains are counted: nothing is mined here, so this shows neither recovery nor false chains.
+    A row for each size: how many parts of planted chains there are, how many of them mining found, how many others it
+    found, and the best support of a planted and of another episode.
     """
     from episodic.sources.synth import DEFAULT_CHAINS, synth_spikes
 
-    ev = synth_spikes(spark, seconds=20)
-    planted = [Episode(c.nodes[:k], c.episode.edges[: k - 1]) for c in DEFAULT_CHAINS for k in range(2, len(c.nodes) + 1)]
-    return _named(count_nonoverlapped(ev, episode_table(spark, planted)), planted).select("episode", "support")
+    ev = synth_spikes(spark).persist()
+    found = mine(ev, SPIKES, SPIKE_THETA, 6).frequent.filter("size > 1").select("size", written().alias("episode"), "support")
+    parts = {Episode(c.nodes[i:j], c.episode.edges[i : j - 1]) for c in DEFAULT_CHAINS for i in range(len(c.nodes)) for j in range(i + 2, len(c.nodes) + 1)}
+    planted = spark.createDataFrame([(len(e.nodes), format_episode(e)) for e in sorted(parts, key=format_episode)], "size int, episode string")
+    both = planted.withColumn("planted", F.lit(True)).join(found, ["size", "episode"], "full_outer")
+    mine_, other = F.col("planted").isNotNull(), F.col("planted").isNull()
+    return both.groupBy("size").agg(
+        F.count(F.when(mine_, 1)).alias("planted"), F.count(F.when(mine_ & F.col("support").isNotNull(), 1)).alias("found"), F.count(F.when(other, 1)).alias("others"),
+        F.max(F.when(mine_, F.col("support"))).alias("best_planted"), F.max(F.when(other, F.col("support"))).alias("best_other"),
+    )
 
 
 def flagship(spark: SparkSession, d: str) -> DataFrame:

@@ -57,17 +57,74 @@ def stream_count(events: DataFrame, episodes: dict[int, Episode], watermark: str
     return timed.groupBy("stream_key").applyInPandasWithState(_advance(episodes), OUT, STATE, "update", GroupStateTimeout.EventTimeTimeout)
 
 
-def replay(spark: SparkSession, path: str, episodes: dict[int, Episode], name: str, checkpoint: str, watermark: str = "0 seconds", files_a_batch: int = 1) -> DataFrame:
+def latest_supports(spark: SparkSession, path: str) -> DataFrame:
+    """(stream_key, episode_id, support) from what upsert_sink wrote: the newest row of each."""
+    held = spark.read.schema("stream_key string, episode_id bigint, support bigint, upto bigint, batch bigint").parquet(path)
+    newest = F.max(F.struct("batch", "support")).alias("n")
+    return held.groupBy("stream_key", "episode_id").agg(newest).select("stream_key", "episode_id", F.col("n.support").alias("support"))
+
+
+def upsert_sink(path: str):
+    """A foreachBatch function that keeps a micro-batch's rows in its own folder; a batch that runs again replaces it."""
+
+    def write(rows: DataFrame, batch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{path}/batch={batch}")
+
+    return write
+
+
+def write_days(ev: DataFrame, path: str, width: int) -> int:
+    """ev as one folder entry for each slice of `width`, written in order of time; returns the number of slices."""
+    sliced = ev.withColumn("slice", F.floor(F.col("t") / width))
+    days = [r["slice"] for r in sliced.select("slice").distinct().orderBy("slice").collect()]
+    for d in days:
+        sliced.filter(F.col("slice") == d).drop("slice").coalesce(1).write.mode("append").parquet(path)
+    return len(days)
+
+
+def replay(spark: SparkSession, path: str, episodes: dict[int, Episode], out: str, checkpoint: str, watermark: str = "0 seconds", files_a_batch: int = 1) -> DataFrame:
     """Feeds stored event files through stream_count, in order of file, and returns the last supports.
 
-    The last events still wait for the watermark when files end: add a closing event far enough ahead to count them.
+    Each micro-batch takes files_a_batch files, continues the machines from stored state, and writes what grew to the
+    folder `out`. The last events still wait for the watermark when files end: add a closing event far enough ahead to
+    count them.
     """
     from episodic.sources import read_event_stream
 
     counted = stream_count(read_event_stream(spark, path, files_a_batch=files_a_batch), episodes, watermark)
-    q = counted.writeStream.format("memory").queryName(name).outputMode("update").option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    q = counted.writeStream.foreachBatch(upsert_sink(out)).outputMode("update").option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return latest_supports(spark, out)
+
+
+def interval_pairs(views: DataFrame, clicks: DataFrame, high: int, watermark: str = "0 seconds") -> DataFrame:
+    """(stream_key, view, click): a streaming join of two event streams on key and 0 < delay <= high microseconds.
+
+    Both sides carry a watermark, so that rows which can't match any more leave the state.
+    """
+    a = views.select("stream_key", F.col("eid").alias("view"), F.timestamp_micros("t").alias("ta")).withWatermark("ta", watermark)
+    b = clicks.select(F.col("stream_key").alias("other"), F.col("eid").alias("click"), F.timestamp_micros("t").alias("tb")).withWatermark("tb", watermark)
+    within = F.expr(f"stream_key = other AND tb > ta AND tb <= ta + INTERVAL {high} MICROSECONDS")
+    return a.join(b, within).select("stream_key", "view", "click")
+
+
+def split_late(spark: SparkSession, path: str, delay: int, out: str, checkpoint: str, files_a_batch: int = 1) -> DataFrame:
+    """(batch, on_time, late): how many events of each micro-batch come later than `delay` microseconds behind the newest
+    event of the batches before. Spark drops such events in stateful queries; this counts them on the side."""
+    from episodic.sources import read_event_stream
+
+    newest = [None]
+
+    def write(rows: DataFrame, batch: int) -> None:
+        late = F.lit(False) if newest[0] is None else F.col("t") < newest[0] - delay
+        n, late_n, hi = rows.agg(F.count("*"), F.coalesce(F.sum(late.cast("bigint")), F.lit(0)), F.max("t")).first()
+        if n:
+            spark.createDataFrame([(n - late_n, late_n)], "on_time bigint, late bigint").write.mode("overwrite").parquet(f"{out}/batch={batch}")
+            newest[0] = hi if newest[0] is None else max(newest[0], hi)
+
+    q = read_event_stream(spark, path, files_a_batch=files_a_batch).writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name).groupBy("stream_key", "episode_id").agg(F.max("support").alias("support"))
+    return spark.read.schema("on_time bigint, late bigint, batch bigint").parquet(out)
 
 
 def windowed_counts(events: DataFrame, width: str, slide: str | None = None, watermark: str = "0 seconds") -> DataFrame:

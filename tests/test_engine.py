@@ -201,3 +201,18 @@ def test_synthetic_chains_are_found(spark):
     assert tuple(top["nodes"]) == chain.nodes
     assert {tuple(r["nodes"]) for r in found.filter("size = 2").collect()} >= {("s0", "s1"), ("s1", "s2")}
     assert ev.count() == synth_spikes(spark, seed=4, n_sym=6, rate_hz=4.0, seconds=20, chains=(chain,)).repartition(7).count()
+
+
+def test_stitched_counts_that_match_are_exact(spark):
+    """Many segments and lower limits: some neighbours have no partner, and what they leave out is never a match."""
+    rng = random.Random(3)
+    t, rows = 0, []
+    for i in range(900):
+        t += rng.choice([1, 1, 2, 3])
+        rows.append(("x", rng.choice("AB"), t, i))
+    ev = spark.createDataFrame(rows, S.EVENTS)
+    eps = [Episode((a, b), (Interval(lo, lo + d),)) for a in "AB" for b in "AB" for lo, d in ((0, 4), (3, 3), (6, 5))]
+    want = _expected({"x": [(s, t) for _, s, t, _ in rows]}, eps)
+    got = {r["episode_id"]: (r["support"], r["matched"]) for r in count_stitched(ev, episode_table(spark, eps), 24).collect()}
+    assert {k: v for k, (v, _) in got.items()} == want
+    assert len({m for _, m in got.values()}) == 2  # both kinds are there

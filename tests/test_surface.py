@@ -40,7 +40,7 @@ def test_streaming_equals_batch(spark, tiny, tmp_path):
     rows.append(("all", "closing", rows[-1][2] + R.DAY, -1))
     for i in range(3):  # one file a part, in order
         spark.createDataFrame(rows[i * 150 : (i + 1) * 150], S.EVENTS).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
-    got = {r["episode_id"]: r["support"] for r in replay(spark, str(tmp_path / "in"), eps, "stream_test", str(tmp_path / "state"), "1 hour").collect()}
+    got = {r["episode_id"]: r["support"] for r in replay(spark, str(tmp_path / "in"), eps, str(tmp_path / "out"), str(tmp_path / "state"), "1 hour").collect()}
     assert got == {i: list_automaton([r[2] for r in rows], [r[1] for r in rows], e)[0] for i, e in eps.items()}
 
 
