@@ -204,9 +204,13 @@ def count_nonoverlapped(ev: DataFrame, eps: DataFrame, engine: str = "arrow", wi
         reach = None if any(r is None for r in reaches) else max(reaches, default=0)
     else:
         _, reach, _ = shape(eps)
-    width = max(width or segment_width(spread, reach or 0, slots), (reach or 0) + 1)
+    if engine == "arrow" and not groups:
+        # segments that the events need fill the slots first; what is left is filled by groups of candidates, since a
+        # candidate costs a few fixed steps in every segment, and a group a copy of the events
+        groups = max(1, min(-(-slots // max(1, math.ceil(spread[2] / SEGMENT_EVENTS))), len(episodes) // 500))
+    width = max(width or segment_width(spread, reach or 0, -(-slots // (groups or 1))), (reach or 0) + 1)
     if engine == "arrow" and reach is not None:
-        maps = segment_maps(ev, episodes, width, groups or max(1, min(slots, len(episodes) // 2_000)))
+        maps = segment_maps(ev, episodes, width, groups)
     else:  # open edges reach over every segment: buckets hand chains on, and only the relational form does that
         maps = carry_maps(latest_starts(ev, eps), width)
     segments = 1 if spread[0] is None else (spread[1] - spread[0]) // width + 2

@@ -732,7 +732,7 @@ def stream_deduplicated(spark, d):
 
 MS = 1_000
 SPIKES = [Interval(0, 5 * MS), Interval(5 * MS, 10 * MS), Interval(10 * MS, 15 * MS)]
-SPIKE_THETA = 320
+SPIKE_THETA = 290
 
 
 @query()
