@@ -143,7 +143,7 @@ def drop_exact_copies(docs: DataFrame, key: str = "doc_id", text: str = "text")
 
     marked = docs.withColumn("__sha", sha_of(F.col(text)))
     on = lambda t: marked[key].eqNullSafe(t["__k"]) & (marked["__sha"] == t["__s"])
-    stay = marked.join(gone, on(gone), "left_anti")
+    stay = marked.join(gone.hint("merge"), on(gone), "left_anti")  # one plan at every size
     if same.isEmpty():
         return stay.drop("__sha")
     once = stay.join(same, on(same), "left_semi").dropDuplicates([key, "__sha"])

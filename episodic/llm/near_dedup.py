@@ -308,7 +308,7 @@ def drop_near_copies(docs: DataFrame, words: int = 5, percent: int = 80, key: st
     same = materialize(same.select(F.col("id").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g")), "repeated-rows")
     body = F.coalesce(docs[text], F.lit(""))
     on = lambda t: (docs[key].cast("bigint") == t["__k"]) & (F.xxhash64(body) == t["__h"]) & (F.xxhash64(F.lit(1), body) == t["__g"])
-    stay = docs.join(gone, on(gone), "left_anti")
+    stay = docs.join(gone.hint("merge"), on(gone), "left_anti")  # one plan at every size
     if same.isEmpty():
         return stay
     once = docs.join(same, on(same), "left_semi").withColumn("__h", F.xxhash64(body)).dropDuplicates([key, "__h"]).drop("__h")
