@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .runtime import materialize
+from .runtime import materialize, passing
 from .tiles import in_tiles, over_runs, star_edges
 
 #: Rows of one side of a comparison: in passes, and when links are counted.
@@ -264,7 +264,8 @@ def near_vectors(vectors: DataFrame, threshold: float = 0.9, key: str = "vec_id"
     as each other's link. A null key is left out of links and has a null component. Empty tables give an empty result.
     With `passes` the depth follows from their number.
     """
-    rows, labels = _judged(vectors, threshold, key, vector, passes, window)
+    with passing("unit-vectors", "class-components", "component-heads"):
+        rows, labels = _judged(vectors, threshold, key, vector, passes, window)
     valid = F.col("id").isNotNull() & F.col("print").isNotNull()
     linked = rows.filter(valid).join(labels, "print").select("id", F.col("n_links").cast("bigint").alias("n_links"), "component_id")
     alone = rows.filter(~valid).select("id", F.lit(0).cast("bigint").alias("n_links"), F.col("id").alias("component_id"))
@@ -277,12 +278,13 @@ def drop_near_vectors(vectors: DataFrame, threshold: float = 0.9, key: str = "ve
 
     Rows are told apart by key and vector; of rows that repeat both, one stays.
     """
-    rows, labels = _judged(vectors, threshold, key, vector, None, WINDOW)
-    valid = rows.filter("id IS NOT NULL AND print IS NOT NULL").join(labels, "print")
-    stays = F.col("head") & (F.col("id") == F.col("component_id"))
-    named = [F.col("id").alias("__k"), F.col("h").alias("__h")]
-    gone = materialize(valid.filter(~stays).select(*named).distinct(), "near-vectors")
-    same = materialize(valid.filter(stays).groupBy("id", "h").agg(F.count("*").alias("times")).filter("times > 1").select(*named), "repeated-rows")
+    with passing("near-vectors", "repeated-rows"):
+        rows, labels = _judged(vectors, threshold, key, vector, None, WINDOW)
+        valid = rows.filter("id IS NOT NULL AND print IS NOT NULL").join(labels, "print")
+        stays = F.col("head") & (F.col("id") == F.col("component_id"))
+        named = [F.col("id").alias("__k"), F.col("h").alias("__h")]
+        gone = materialize(valid.filter(~stays).select(*named).distinct(), "near-vectors")
+        same = materialize(valid.filter(stays).groupBy("id", "h").agg(F.count("*").alias("times")).filter("times > 1").select(*named), "repeated-rows")
     kind = "array<float>" if vectors.schema[vector].dataType.simpleString() == "array<float>" else "array<double>"
     on = lambda t: (vectors[key].cast("bigint") == t["__k"]) & (F.xxhash64(vectors[vector].cast(kind)) == t["__h"])
     stay = vectors.join(gone, on(gone), "left_anti")

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .runtime import materialize
+from .runtime import materialize, passing
 
 #: Bytes of a block. Most documents are one block; a row never holds more than this of a text.
 BLOCK_BYTES = 8192
@@ -130,12 +130,13 @@ def exact_groups(docs: DataFrame, key: str = "doc_id", text: str = "text", block
 def drop_exact_copies(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The rows of docs that stay, with their own columns: one of each group of equal texts.
 
-    The copies, mostly few, are joined away by key and text; texts move only where the list of copies is too long to
-    broadcast, or where rows repeat key and text, of which one stays.
+    The copies are joined away by key and the text's digest, in a sort-merge join at every size: their list grows with
+    the corpus. Of rows that repeat key and text one stays.
     """
-    groups = materialize(exact_groups(docs, key, text).select(F.col(key).alias("__k"), F.unhex("text_sha256").alias("__s"), "kept"), "exact-groups")
-    gone = materialize(groups.filter("NOT kept").select("__k", "__s").distinct(), "exact-copies")
-    same = materialize(groups.filter("kept").groupBy("__k", "__s").agg(F.count("*").alias("times")).filter("times > 1").select("__k", "__s"), "repeated-rows")
+    with passing("exact-copies", "repeated-rows"):
+        groups = materialize(exact_groups(docs, key, text).select(F.col(key).alias("__k"), F.unhex("text_sha256").alias("__s"), "kept"), "exact-groups")
+        gone = materialize(groups.filter("NOT kept").select("__k", "__s").distinct(), "exact-copies")
+        same = materialize(groups.filter("kept").groupBy("__k", "__s").agg(F.count("*").alias("times")).filter("times > 1").select("__k", "__s"), "repeated-rows")
 
     @F.arrow_udf(T.BinaryType())
     def sha_of(texts: pa.Array) -> pa.Array:

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .runtime import materialize
+from .runtime import materialize, passing
 from .tiles import in_tiles, over_runs, star_edges
 from .wordhash import NOT_WHITE, mix, spans, text_chunks, word_hashes
 
@@ -286,7 +286,8 @@ def near_groups(docs: DataFrame, words: int = 3, percent: int = 85, key: str = "
     nothing and has a null component. Rows that repeat a key are documents of their own: they are in one component only
     if their texts are linked. Empty tables give an empty result.
     """
-    rows, heads = _judged(docs, words, percent, key, text)
+    with passing("sketches", "class-components", "component-heads"):
+        rows, heads = _judged(docs, words, percent, key, text)
     met = (F.col("n") > 0) & F.col("id").isNotNull()
     linked = rows.filter(met).join(heads, "print").select("id", "n", F.col("c0.id").alias("component_id"))
     alone = rows.filter(~met).select("id", "n", F.col("id").alias("component_id"))
@@ -300,12 +301,13 @@ def drop_near_copies(docs: DataFrame, words: int = 5, percent: int = 80, key: st
     Rows with a null key or an empty set all stay. Rows are told apart by key and text, so a key that several texts
     share loses only those that are copies; of rows that repeat both, one stays.
     """
-    rows, heads = _judged(docs, words, percent, key, text)
-    valid = rows.filter("n > 0 AND id IS NOT NULL").join(heads, "print")
-    gone = valid.filter(F.struct("id", "h", "g") != F.col("c0")).select(F.col("id").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g")).distinct()
-    gone = materialize(gone, "near-copies")
-    same = valid.filter(F.struct("id", "h", "g") == F.col("c0")).groupBy("id", "h", "g").agg(F.count("*").alias("times")).filter("times > 1")
-    same = materialize(same.select(F.col("id").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g")), "repeated-rows")
+    with passing("near-copies", "repeated-rows"):
+        rows, heads = _judged(docs, words, percent, key, text)
+        valid = rows.filter("n > 0 AND id IS NOT NULL").join(heads, "print")
+        gone = valid.filter(F.struct("id", "h", "g") != F.col("c0")).select(F.col("id").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g")).distinct()
+        gone = materialize(gone, "near-copies")
+        same = valid.filter(F.struct("id", "h", "g") == F.col("c0")).groupBy("id", "h", "g").agg(F.count("*").alias("times")).filter("times > 1")
+        same = materialize(same.select(F.col("id").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g")), "repeated-rows")
     body = F.coalesce(docs[text], F.lit(""))
     on = lambda t: (docs[key].cast("bigint") == t["__k"]) & (F.xxhash64(body) == t["__h"]) & (F.xxhash64(F.lit(1), body) == t["__g"])
     stay = docs.join(gone.hint("merge"), on(gone), "left_anti")  # one plan at every size

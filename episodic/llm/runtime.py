@@ -6,10 +6,12 @@ import atexit
 import os
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
-_WRITTEN: list[tuple[SparkSession, str]] = []
+_WRITTEN: dict[str, SparkSession] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -27,18 +29,38 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    if not _WRITTEN:
+    if not _WRITTEN:  # once, and after the session's own
+        atexit.unregister(_sweep)
         atexit.register(_sweep)
-    _WRITTEN.append((spark, path))
+    _WRITTEN[path] = spark
     return spark.read.schema(df.schema).parquet(path)
 
 
+@contextmanager
+def passing(*keep: str) -> Iterator[None]:
+    """Deletes on leaving what is materialized inside, but for tables of the names in `keep`.
+
+    For steps whose results are written themselves: a plan that leaves may read kept tables only. Without it, the
+    intermediates of all steps of a long session would stay on disk side by side.
+    """
+    before = set(_WRITTEN)
+    try:
+        yield
+    finally:
+        for path in [p for p in _WRITTEN if p not in before]:
+            if path.rpartition("/")[2].rpartition("-")[0] not in keep:
+                _delete(_WRITTEN.pop(path), path)
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
 def _sweep() -> None:
-    """Delete what this process has materialized; results are lazy, so nothing can go before the process ends."""
-    for spark, path in _WRITTEN:
+    """Delete what this process has materialized and not yet deleted, at its end: results are lazy."""
+    for path, spark in _WRITTEN.items():
         try:
-            jvm = spark.sparkContext._jvm
-            p = jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+            _delete(spark, path)
         except Exception:  # the session may be gone by then
             return

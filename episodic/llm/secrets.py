@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import materialize
+from .runtime import materialize, passing
 
 KINDS = ("assign", "access", "hex", "weak")
 # Fixed patterns and least lengths of the base kinds.
@@ -128,9 +128,10 @@ def redact_live(docs: DataFrame, mark: str = "[REDACTED]", key: str = "doc_id",
 
     Spans find their rows by key and text, so each row loses its own spans only, whatever keys repeat or are null.
     """
-    spans = _scanned(docs, key, text, owner, COMMON_OWNERS)
-    live = spans.select(F.col("k").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g"), F.filter("spans_list", lambda s: s["live"]).alias("__live"))
-    live = materialize(live.filter(F.size("__live") > 0).dropDuplicates(["__k", "__h", "__g"]), "live-spans")
+    with passing("live-spans"):
+        spans = _scanned(docs, key, text, owner, COMMON_OWNERS)
+        live = spans.select(F.col("k").alias("__k"), F.col("h").alias("__h"), F.col("g").alias("__g"), F.filter("spans_list", lambda s: s["live"]).alias("__live"))
+        live = materialize(live.filter(F.size("__live") > 0).dropDuplicates(["__k", "__h", "__g"]), "live-spans")
     h, g = _text_hashes(docs[text])
     may = F.coalesce(docs[text].rlike(MAY_HOLD), F.lit(False))
     joined = docs.filter(may).join(live, docs[key].eqNullSafe(live["__k"]) & (h == live["__h"]) & (g == live["__g"]), "left")
