@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from episodic.llm import exact_dedup, langid, near_dedup, secrets
 from episodic.llm.queries import pack_documents
-from episodic.llm.runtime import materialize
+from episodic.llm.runtime import materialize, passing
 from episodic.shipping import ship
 
 #: A document below this score is nearer to no language than random letters are.
@@ -74,8 +74,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for i, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if i < len(STAGES) - 1:
-            docs = materialize(docs, f"stage-{name}")
-    return docs
+    for name, stage in STAGES[:-1]:
+        with passing(f"stage-{name}"):
+            docs = materialize(stage(spark, docs, sf_dir), f"stage-{name}")
+    return STAGES[-1][1](spark, docs, sf_dir)
