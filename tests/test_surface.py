@@ -1,6 +1,7 @@
 """SQL functions, stores, streaming, and the registry against its SQL on the smallest tables."""
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -61,3 +62,21 @@ def test_entry(spark):
     out = entry.entry(spark)
     assert {r["size"]: r["n"] for r in out.groupBy("size").agg(F.count("*").alias("n")).collect()} == {1: 5, 2: 73, 3: 7}
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_stitch_matches_equals_its_sql_on_a_tenth():
+    """At sf0.1 the plain shifts have no partner for either episode; with a machine for every first completion they have."""
+    from episodic.operators.stitch import machine_tuples
+
+    con = duckdb.connect()
+    rows = con.execute("SELECT event_type, epoch_us(ts), event_id FROM '/root/testdata/sf0.1/events.parquet' ORDER BY 2, 3").fetchall()
+    by = {s: tuple(np.array(x, np.int64) for x in zip(*((t, i) for y, t, i in rows if y == s))) for s in R.TYPES}
+    for e in R.FEW:
+        times, syms = zip(*((t, s) for s, t, _ in rows if s in e.nodes))
+        segs = range((rows[0][1] - 1) // R.SEGMENT, (rows[-1][1] - 1) // R.SEGMENT + 1)
+        maps = [machine_tuples(by, e, p * R.SEGMENT, (p + 1) * R.SEGMENT, True) for p in segs]
+        at, total = maps[0][0][4:], maps[0][0][3]
+        for m in maps[1:]:
+            x = next(x for x in m if x[1:3] == at)
+            at, total = x[4:], total + x[3]
+        assert total == list_automaton(times, syms, e)[0]
