@@ -80,3 +80,17 @@ def test_stitch_matches_equals_its_sql_on_a_tenth():
             x = next(x for x in m if x[1:3] == at)
             at, total = x[4:], total + x[3]
         assert total == list_automaton(times, syms, e)[0]
+
+
+@pytest.mark.parametrize("name", ["dispatch_table", "crossover_fit"])
+def test_model_queries_read_orders(spark, tiny, name, tmp_path):
+    """Other orders give another table: the queries used to fit and decide numbers of their own."""
+    con = duckdb.connect()
+    few = spark.read.parquet(f"{tiny}/orders.parquet").filter("o_custkey % 3 = 0 OR o_orderkey % 2 = 0")
+    few.write.parquet(str(tmp_path / "orders.parquet"))
+    got = []
+    for d, files in ((tiny, f"{tiny}/orders.parquet"), (str(tmp_path), f"{tmp_path}/orders.parquet/*.parquet")):
+        con.execute(f"CREATE OR REPLACE VIEW orders AS SELECT * FROM '{files}'")
+        got.append(_rows(R.QUERIES[name](spark, d).toPandas()))
+        assert got[-1] == _rows(con.execute(R.ORACLE[name]).df())
+    assert got[0] != got[1]
