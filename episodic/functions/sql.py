@@ -109,10 +109,33 @@ def _mining_udtf():
     return MineEpisodes
 
 
+def _maps_udtf():
+    @F.udtf(returnType="episode_id bigint, stream_key string, seg bigint, steps array<bigint>")
+    class EpisodeMaps:
+        """A row of operators.segments.placed_segments, written episodes (one a line, of two and more nodes) and the width
+        of segments: the carry map of each episode that can end in the segment; episode_id is its line, from 0."""
+
+        def __init__(self):
+            self.text, self.listed = None, []
+
+        def eval(self, stream_key: str, seg: int, events: bytes, episodes: str, width: int) -> Iterator[tuple]:
+            from episodic.operators.segments import listed_by_prefix, map_steps, unpacked
+
+            if episodes != self.text:
+                self.text, self.listed = episodes, listed_by_prefix(dict(enumerate(map(parse_episode, episodes.split("\n")))))
+            ends, memo = unpacked(bytes(events)), {}
+            for k, nodes, edges in self.listed:
+                if nodes[-1] in ends and (steps := map_steps({}, ends, nodes, edges, seg * width, memo)):
+                    yield k, stream_key, seg, steps
+
+    return EpisodeMaps
+
+
 def register(spark: SparkSession) -> None:
-    """parse_episode, canonical_episode, episode_count, and the table functions episode_occurrences and mine_episodes, by name."""
+    """parse_episode, canonical_episode, episode_count, and the table functions episode_occurrences, mine_episodes and episode_maps, by name."""
     spark.udf.register("parse_episode", parse_udf)
     spark.udf.register("canonical_episode", canonical_udf)
     spark.udf.register("episode_count", episode_count)
     spark.udtf.register("episode_occurrences", _udtf())
     spark.udtf.register("mine_episodes", _mining_udtf())
+    spark.udtf.register("episode_maps", _maps_udtf())

@@ -94,3 +94,28 @@ def test_model_queries_read_orders(spark, tiny, name, tmp_path):
         got.append(_rows(R.QUERIES[name](spark, d).toPandas()))
         assert got[-1] == _rows(con.execute(R.ORACLE[name]).df())
     assert got[0] != got[1]
+
+
+def test_mining_from_sql_takes_segments(spark, monkeypatch):
+    """The query handed a whole stream, row by row, to one worker; now no call of the table function holds more than a segment."""
+    import random
+
+    from episodic import sources as S
+    from episodic.functions import sql as surface
+    from episodic.functions.store import level_store
+    from episodic.model import Interval
+    from episodic.plans import by_table_function as T
+
+    stored = {}
+    monkeypatch.setattr(T, "level_store", lambda df, name: stored.setdefault(name, level_store(df, name)))
+    rng = random.Random(43)
+    ev = spark.createDataFrame([("x", rng.choice("ABC"), t // 3, t) for t in sorted(rng.sample(range(9_000), 1_500))], S.EVENTS)
+    found = T.mine_by_table_function(ev, [Interval(0, 9), Interval(9, 30)], 40, 3, width=200)
+    assert stored["segments"].count() > 10
+    surface.register(spark)
+    ev.createOrReplaceTempView("whole_stream")
+    whole = spark.sql("SELECT size, episode, support FROM mine_episodes(TABLE(whole_stream) PARTITION BY stream_key ORDER BY (t, eid), '0-9,9-30', 40, 3)")
+    got = sorted(map(tuple, found.select("size", R.written().alias("episode"), "support").collect()))
+    assert got == sorted(map(tuple, whole.collect())) and {x[0] for x in got} == {1, 2, 3}
+    monkeypatch.setattr(R, "mine_by_table_function", lambda *a: found)
+    assert R.QUERIES["sql_udtf_mine"](spark, "/root/testdata/sf0.001").count() == len(got)
