@@ -125,8 +125,8 @@ def _maps_udtf():
                 self.text, self.listed = episodes, listed_by_prefix(dict(enumerate(map(parse_episode, episodes.split("\n")))))
             ends, memo = unpacked(bytes(events)), {}
             for k, nodes, edges in self.listed:
-                if nodes[-1] in ends and (steps := map_steps({}, ends, nodes, edges, seg * width, memo)):
-                    yield k, stream_key, seg, steps
+                if nodes[-1] in ends and len(steps := map_steps({}, ends, nodes, edges, seg * width, memo)):
+                    yield k, stream_key, seg, steps.tolist()
 
     return EpisodeMaps
 
